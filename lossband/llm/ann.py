@@ -97,10 +97,11 @@ def _matrix(column) -> np.ndarray:
     return np.stack(column.to_numpy(zero_copy_only=False)).astype(float)
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, tables: int = 6, bits: int | None = None, probes: int = 48, width: float = 1.0, seed: int = 11, vec_id: str = "vec_id", embedding: str = "embedding") -> DataFrame:
+def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, tables: int = 4, bits: int | None = None, probes: int | None = None, width: float = 2.25, seed: int = 11, vec_id: str = "vec_id", embedding: str = "embedding") -> DataFrame:
     """(query_id, rank, vec_id, score): the ``k`` rows of largest inner product found, not counting the query's own.
 
-    ``bits`` grows with the logarithm of the number of different vectors unless given.
+    ``bits`` grows with the logarithm of the number of different vectors unless given, and ``probes`` with
+    ``bits``; ``width`` of a cell is in spreads of a projection.
     """
     spark = vectors.sparkSession
     ship(spark)
@@ -117,9 +118,9 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, tables: int = 6
         sample = base.where(F.col("dim") == r["dim"]).orderBy(F.xxhash64("rep")).limit(SAMPLE).select("v").toPandas()["v"]
         x = np.stack(sample.to_numpy()).astype(float)
         m = bits or max(1, round(math.log2(max(r["n"], 2) / 600)))
-        model = Tables(r["dim"], math.sqrt(r["top"]), 1.0, tables, m, probes, 1.0, seed)
+        model = Tables(r["dim"], math.sqrt(r["top"]), 1.0, tables, m, 1, 1.0, seed)
         spread = float((np.einsum("nd,tkd->ntk", model.lift(x, False), model.a)).std()) if len(x) else 1.0
-        models[r["dim"]] = Tables(r["dim"], math.sqrt(r["top"]), spread, tables, m, probes, width * 1.5, seed)
+        models[r["dim"]] = Tables(r["dim"], math.sqrt(r["top"]), spread, tables, m, probes or max(16, 6 * m), width, seed)
 
     def index(batches):
         for b in batches:

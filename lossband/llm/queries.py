@@ -67,7 +67,7 @@ NOTICES = (
 def known_licenses(spark: SparkSession) -> DataFrame:
     """(name, text): the notices, and the full texts that the public tokenizers come with."""
     with open(public_tokenizers.path("LICENSES.txt"), encoding="utf-8") as f:
-        parts = re.split(r"\n(?=[^\n]*\n=+\n|MIT License\n)|\n-{5,}\n|\n={5,}\n", f.read())
+        parts = re.split(r"(?m)^[\w.*]+:\n", f.read())
     full = [(("Apache-2.0" if "Apache License" in x[:400] else "MIT" if "Permission is hereby granted" in x else "other"), x) for x in parts if len(x) > 400]
     return spark.createDataFrame([*NOTICES, *full], "name string, text string")
 
