@@ -43,7 +43,7 @@ def regularize(rows: DataFrame, source: Column, series_id: Column, slot: Column,
     cells = cells.where(F.col("t").between(0, length - 1) & F.col("source").isNotNull() & F.col("series_id").isNotNull())
     sums = cells.groupBy("source", "series_id", "t").agg(F.sum("y").alias("y"))
     by_series = sums.groupBy("source", "series_id").agg(F.map_from_entries(F.collect_list(F.struct("t", "y"))).alias("at"))
-    slots = by_series.select("source", "series_id", F.explode(F.sequence(F.lit(0), F.lit(length - 1))).cast("long").alias("t"), "at")
+    slots = by_series.select("source", "series_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(length - 1).cast("long"))).alias("t"), "at")
     return slots.select("source", "series_id", "t", F.try_element_at("at", F.col("t")).alias("y"))
 
 
@@ -52,7 +52,7 @@ def regularize_join(rows: DataFrame, source: Column, series_id: Column, slot: Co
     cells = rows.select(source.cast("string").alias("source"), series_id.cast("string").alias("series_id"), slot.cast("long").alias("t"), value.cast("long").alias("y"))
     cells = cells.where(F.col("t").between(0, length - 1) & F.col("source").isNotNull() & F.col("series_id").isNotNull())
     sums = cells.groupBy("source", "series_id", "t").agg(F.sum("y").alias("y"))
-    slots = sums.select("source", "series_id").distinct().select("source", "series_id", F.explode(F.sequence(F.lit(0), F.lit(length - 1))).cast("long").alias("t"))
+    slots = sums.select("source", "series_id").distinct().select("source", "series_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(length - 1).cast("long"))).alias("t"))
     return slots.join(sums, ["source", "series_id", "t"], "left")
 
 

@@ -17,13 +17,20 @@ from ..functions.loss import MSE, ErrorLoss, mean_where
 from .grid import pack
 
 BIG = "decimal(38,0)"
-SERIES = Window.partitionBy("source", "series_id").orderBy("t")
-RUNNING = SERIES.rowsBetween(Window.unboundedPreceding, 0)
+
+
+def series():
+    """One series in order of slots."""
+    return Window.partitionBy("source", "series_id").orderBy("t")
+
+
+def running():
+    return series().rowsBetween(Window.unboundedPreceding, 0)
 
 
 def between(total: str, first: int, last: int) -> Column:
     """Sum over the slots t + first .. t + last from the running sum ``total`` (null where the series ends before)."""
-    return F.lead(total, last).over(SERIES) - (F.lead(total, first - 1).over(SERIES) if first > 0 else F.coalesce(F.lag(total, 1 - first).over(SERIES), F.lit(0)))
+    return F.lead(total, last).over(series()) - (F.lead(total, first - 1).over(series()) if first > 0 else F.coalesce(F.lag(total, 1 - first).over(series()), F.lit(0)))
 
 
 def finish(rows: DataFrame, reference_id: str) -> DataFrame:
@@ -53,7 +60,7 @@ class SeasonalNaive:
     def error(self, grid: DataFrame, ahead: int) -> DataFrame:
         """The grid with ``e<ahead>``: truth less the value ``ahead`` seasons before."""
         if self.missing == "pairwise":
-            basis = F.lag("y", self.season * ahead).over(SERIES)
+            basis = F.lag("y", self.season * ahead).over(series())
         else:
             phase = Window.partitionBy("source", "series_id", F.pmod("t", F.lit(self.season))).orderBy("t")
             basis = F.last("y", ignorenulls=True).over(phase.rowsBetween(Window.unboundedPreceding, -ahead))
@@ -68,7 +75,7 @@ class SeasonalNaive:
         for j in range(1, bands + 1):
             e = F.col(f"e{j}") if shift is None else F.col(f"e{j}") - shift
             value = loss.of(e).cast(BIG if loss.exact and shift is None else "double")
-            grid = grid.withColumns({f"s{j}": F.sum(F.coalesce(value, F.lit(0))).over(RUNNING), f"n{j}": F.count(f"e{j}").over(RUNNING)})
+            grid = grid.withColumns({f"s{j}": F.sum(F.coalesce(value, F.lit(0))).over(running()), f"n{j}": F.count(f"e{j}").over(running())})
             names.append((j, context + (j - 1) * self.season, context + min(j * self.season, horizon) - 1))
         total = sum((between(f"s{j}", a, b) for j, a, b in names[1:]), between(f"s{names[0][0]}", *names[0][1:]))
         m = sum((between(f"n{j}", a, b) for j, a, b in names[1:]), between(f"n{names[0][0]}", *names[0][1:]))
@@ -79,7 +86,7 @@ class SeasonalNaive:
 def _moments(grid: DataFrame) -> DataFrame:
     y, t, seen = F.col("y"), F.col("t"), F.col("y").isNotNull().cast("long")
     sums = {"n0": seen, "n1": seen * t, "n2": seen * t * t, "y1": F.coalesce(y, F.lit(0)), "y2": F.coalesce(y * y, F.lit(0)), "ty": F.coalesce(t * y, F.lit(0))}
-    return grid.withColumns({k: F.sum(v.cast(BIG)).over(RUNNING) for k, v in sums.items()})
+    return grid.withColumns({k: F.sum(v.cast(BIG)).over(running()) for k, v in sums.items()})
 
 
 def _future(context: int, horizon: int) -> dict[str, Column]:
@@ -107,7 +114,7 @@ class LastValue(_Constant):
 
     def basis(self, context):
         # The last value of the frame is found from its first row, so that a row stands for its origin.
-        return F.last("y", ignorenulls=True).over(SERIES.rowsBetween(0, context - 1))
+        return F.last("y", ignorenulls=True).over(series().rowsBetween(0, context - 1))
 
 
 @dataclass(frozen=True)
@@ -138,7 +145,7 @@ class Drift:
     id: str = "drift"
 
     def score(self, grid: DataFrame, context: int, horizon: int) -> DataFrame:
-        frame = SERIES.rowsBetween(0, context - 1)
+        frame = series().rowsBetween(0, context - 1)
         at = F.when(F.col("y").isNotNull(), F.struct("t", "y"))
         rows = _moments(grid).withColumns(_future(context, horizon) | {"a": F.first(at, ignorenulls=True).over(frame), "b": F.last(at, ignorenulls=True).over(frame)})
         n, n1, n2, y1, y2, ty = (F.col(f"f_{k}").cast("double") for k in ("n0", "n1", "n2", "y1", "y2", "ty"))
@@ -193,7 +200,7 @@ class ResidualQuantile:
         offsets = self.fit(grid) if offsets is None else offsets
         rows = SeasonalNaive(self.season).error(grid, 1).join(F.broadcast(offsets), "source", "left")  # one row a source
         loss = sum((2 * F.greatest((F.col("e1") - F.col(f"q{i}")) * q, (F.col("e1") - F.col(f"q{i}")) * (q - 1)) for i, q in enumerate(self.levels)), F.lit(0.0)) / len(self.levels)
-        rows = rows.withColumns({"l": F.sum(F.coalesce(loss, F.lit(0.0))).over(RUNNING), "n": F.count("e1").over(RUNNING), "a": F.sum(F.when(F.col("e1").isNotNull(), F.abs("y")).otherwise(0)).over(RUNNING)})
+        rows = rows.withColumns({"l": F.sum(F.coalesce(loss, F.lit(0.0))).over(running()), "n": F.count("e1").over(running()), "a": F.sum(F.when(F.col("e1").isNotNull(), F.abs("y")).otherwise(0)).over(running())})
         ends = (context, context + horizon - 1)
         rows = rows.select("source", "series_id", F.col("t").alias("origin"), between("n", *ends).alias("m"), between("l", *ends).alias("total"), between("a", *ends).alias("size"))
         by = F.col("size") if weighted else F.col("m")
@@ -222,7 +229,7 @@ def gram(grid: DataFrame, lags: int, context: int, horizon: int, last: Column |
     constant (0) and the ``horizon`` future values (lags + 1 ..); missing values count as 0."""
     y = F.coalesce("y", F.lit(0)).cast("long")
     rows = grid.withColumn("z", y)
-    cols = [F.lit(1).cast("long"), *(F.lead("z", context - k).over(SERIES) if context - k else F.col("z") for k in range(1, lags + 1)), *(F.lead("z", context + h).over(SERIES) for h in range(horizon))]
+    cols = [F.lit(1).cast("long"), *(F.lead("z", context - k).over(series()) if context - k else F.col("z") for k in range(1, lags + 1)), *(F.lead("z", context + h).over(series()) for h in range(horizon))]
     x = rows.select("source", "series_id", F.col("t").alias("origin"), F.array(*cols).alias("x")).where(F.col("x")[lags + horizon].isNotNull())
     if last is not None:
         x = x.where(last)

@@ -1,7 +1,5 @@
 """Reference losses of all windows, by forecaster and by loss."""
 
-from __future__ import annotations
-
 from pyspark.sql import functions as F
 
 from ..functions import loss as l
