@@ -50,7 +50,7 @@ def materialize(packed: DataFrame, keys: DataFrame, context: int, horizon: int,
 def overlap_report(keys: DataFrame, context: int, horizon: int) -> DataFrame:
     """By source: neighbouring windows, and the slots they share with the one before, in all."""
     gap = F.col("origin") - F.lag("origin").over(Window.partitionBy("source", "series_id").orderBy("origin"))
-    shared = F.greatest(F.lit(0), F.lit(context + horizon) - gap)
+    shared = F.when(gap.isNotNull(), F.greatest(F.lit(0), F.lit(context + horizon) - gap))
     rows = keys.select("source", shared.alias("shared"))
     return rows.groupBy("source").agg(F.count("shared").alias("pairs"), F.sum("shared").alias("shared_slots"), (F.count("*") * (context + horizon)).alias("window_slots"))
 

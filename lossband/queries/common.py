@@ -39,9 +39,10 @@ def errors_sql(name: str, context=None, horizon=None, season=None, held_out=True
     c = g.CORPORA[name]
     context, horizon, season = context or c.context, horizon or c.horizon, season or c.season
     return f"""{cells_sql(name)}, {keys_sql(name, context, horizon, held_out)},
-        errors as (select k.source, k.series_id, k.origin, f.t - k.origin - {context} as h, f.y as yf, f.y - b.y as e from keys k
-            join cells f on f.source = k.source and f.series_id = k.series_id and f.t >= k.origin + {context} and f.t < k.origin + {context + horizon}
-            join cells b on b.source = k.source and b.series_id = k.series_id and b.t = f.t - {season} * ((f.t - k.origin - {context}) // {season} + 1))"""
+        ahead as (select source, series_id, origin, unnest(range(0, {horizon})) as h from keys),
+        errors as (select k.source, k.series_id, k.origin, k.h, f.y as yf, f.y - b.y as e from ahead k
+            join cells f on f.source = k.source and f.series_id = k.series_id and f.t = k.origin + {context} + k.h
+            join cells b on b.source = k.source and b.series_id = k.series_id and b.t = k.origin + {context} + k.h - {season} * (k.h // {season} + 1))"""
 
 
 def scores_sql(name: str, value: str = "cast(e as hugeint) * e", **kw) -> str:
