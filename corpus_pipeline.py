@@ -15,28 +15,29 @@ PERCENT, SHINGLE = 80, 5
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier does not reject."""
+    """Documents that the classifier does not reject; null text is scored as empty text."""
     return quality.with_score(docs, queries.quality_forest(spark, docs, sf_dir), least=queries.LEAST_SCORE)
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts, the document with the largest id."""
+    """Of equal texts, the document with the largest id; rows without an id stay."""
     gone = exact_dedup.exact_dedup(docs).where("not kept").select(F.col("doc_id").alias("gone"))
     return docs.join(gone, docs["doc_id"] == gone["gone"], "left_anti")
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates: the one with the smallest id."""
+    """One document of each group of near duplicates: the one with the smallest id; rows without an id stay."""
     gone = near_dedup.near_dedup(docs, size=SHINGLE, percent=PERCENT).where("not kept").select(F.col("doc_id").alias("gone"))
     return docs.join(gone, docs["doc_id"] == gone["gone"], "left_anti")
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """As many copies of each document as the mix takes."""
+    """As many copies of each document as the mix takes; a row without an id is not taken."""
     rows, _ = mixing.mix(mixing.words(docs))
-    taken = rows.where("copies > 0 and doc_id is not null").groupBy(F.col("doc_id").alias("taken_id")).agg(F.max("copies").alias("copies"))
-    out = docs.join(taken, docs["doc_id"] == taken["taken_id"])
-    return out.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*docs.columns)
+    times, key = (f"{x}_{uuid.uuid4().hex[:8]}" for x in ("times", "key"))  # no column of ``docs`` has these names
+    taken = rows.where("copies > 0 and doc_id is not null").groupBy(F.col("doc_id").alias(key)).agg(F.max("copies").alias(times))
+    out = docs.join(taken, docs["doc_id"] == taken[key])
+    return out.withColumn(key, F.explode(F.sequence(F.lit(1), F.col(times)))).select(*(docs[c] for c in docs.columns))
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
