@@ -264,3 +264,23 @@ def test_html(spark):
     assert got[50] == "" and got[51] == "" and got[52] == "ab\nc\nd & e" and got[53] == "T\ndeep"
     assert h.extract(pages.where("1 = 0")).count() == 0
     assert abs(h.importance([1] * 8, 8) - 1) < 1e-12 and h.importance([8], 8) == 0
+
+
+def test_stages(docs, none, spark):
+    """Every stage keeps the columns it is given, whatever their names, and takes empty tables."""
+    import corpus_pipeline as p
+
+    sf = "/root/testdata/sf0.001"
+    more = docs.selectExpr("*", "1 as gone", "2 as copies", "3 as copy", "4 as taken_id", "5 as n_chars")
+    for name, stage in p.STAGES:
+        out = stage(spark, more, sf)
+        assert stage(spark, none, sf).count() == 0
+        if name != "byte_bpe":
+            assert out.columns == more.columns
+        ids = sorted(r["doc_id"] for r in out.select("doc_id").collect() if r["doc_id"] is not None)
+        if name == "exact_dedup":
+            assert ids == [2, 3, 6, 7, 8, 8, 10]
+        if name == "near_dedup":
+            assert ids == [1, 2, 3, 4, 7, 8, 8, 9]
+        if name == "byte_bpe":
+            assert len(ids) == len(DOCS) - 1
