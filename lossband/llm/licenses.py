@@ -12,36 +12,35 @@ repeated rows match alike; an empty table gives no rows; further columns are not
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Spellings that count as one, from the public matching guidelines for license texts.
+#: Spellings that count as one, as patterns of whole words and what stands for them; each is one pass.
 SPELLINGS = (
-    ("acknowledgment", "acknowledgement"), ("analogue", "analog"), ("analyse", "analyze"), ("artefact", "artifact"), ("authorisation", "authorization"), ("authorised", "authorized"), ("calibre", "caliber"), ("cancelled", "canceled"),
-    ("capitalisations", "capitalizations"), ("catalogue", "catalog"), ("categorise", "categorize"), ("centre", "center"), ("copyright owner", "copyright holder"), ("emphasised", "emphasized"), ("favor", "favour"), ("favorite", "favourite"),
-    ("fulfil", "fulfill"), ("fulfilment", "fulfillment"), ("initialise", "initialize"), ("judgment", "judgement"), ("labelling", "labeling"), ("labour", "labor"), ("licence", "license"), ("maximise", "maximize"), ("modelled", "modeled"),
-    ("modelling", "modeling"), ("offence", "offense"), ("optimise", "optimize"), ("organisation", "organization"), ("organise", "organize"), ("practise", "practice"), ("programme", "program"), ("realise", "realize"), ("recognise", "recognize"),
-    ("signalling", "signaling"), ("sub license", "sublicense"), ("sub-license", "sublicense"), ("utilisation", "utilization"), ("whilst", "while"), ("wilful", "wilfull"), ("non commercial", "noncommercial"), ("per cent", "percent"), ("http:", "https:"),
+    (r"\blicence(s|d|e|es)?\b", "license$1"), (r"\b(off|def)ence(s)?\b", "$1ense$2"), (r"\bpractise(s|d)?\b", "practice$1"), (r"\b(acknowledg|judg)ment(s)?\b", "$1ement$2"), (r"\b(catalog|analog)ue(s)?\b", "$1$2"),
+    (r"\b(cent|calib)re(s)?\b", "$1er$2"), (r"\b(analy|author|capital|categor|emphas|initial|maxim|minim|optim|organ|real|recogn|util)is(e|ed|es|ing|ation|ations)\b", "$1iz$2"), (r"\b(cancel|label|model|signal)l(ed|ing)\b", "$1$2"),
+    (r"\bfavour(s|ed|ite|able)?\b", "favor$1"), (r"\blabour(s|ed)?\b", "labor$1"), (r"\bfulfil(ment|s)?\b", "fulfill$1"), (r"\bprogramme(s)?\b", "program$1"), (r"\bartefact(s)?\b", "artifact$1"), (r"\bwhilst\b", "while"), (r"\bwilful(ly)?\b", "willful$1"),
+    (r"\bcopyright owner(s)?\b", "copyright holder$1"), (r"\bsub licens(e|es|ed|able|ing)\b", "sublicens$1"), (r"\bnon commercial(ly)?\b", "noncommercial$1"), (r"\bper cent\b", "percent"), (r"\bhttps\b", "http"),
 )
+ANY = "|".join(a for a, _ in SPELLINGS)
 
 
-def canonical(text: Column) -> Column:
-    """The form that is compared; null stays null."""
-    x = F.lower(text)
-    x = F.regexp_replace(x, r"(?m)^[^\p{L}\p{N}\n]*(?:copyright|\(c\)|©|&copy;)[^\n]*(?:\n|$)", "\n")
+def with_digest(rows: DataFrame, column: str, out: str) -> DataFrame:
+    """``rows`` with the canonical digest of ``column``: null for null and for text of which nothing is left.
+
+    The levelled text is a column of its own, so that no pass over it is planned twice; the spellings' passes
+    run only where one of them occurs.
+    """
+    x = F.lower(F.col(column).cast("string"))
+    x = F.regexp_replace(x, r"(?m)^[^\p{L}\p{N}\n]*(?:copyright|\(c\)|©|&copy;)(?: \(c\)| ©|)[^\n]*(?:[0-9]{4}|reserved)[^\n]*(?:\n|$)", "\n")
     x = F.regexp_replace(x, r"(?m)^[^\p{L}\p{N}\n]*all rights reserved\.?[^\S\n]*$", "")
-    x = F.regexp_replace(x, "https?:", "https:")
     x = F.trim(F.regexp_replace(x, r"[^\p{L}\p{N}]+", " "))
+    level, one = f"{out}_level", f"{out}_one"
+    spelled = F.col(level)
     for a, b in SPELLINGS:
-        a, b = (s.replace("-", " ").replace(":", "") for s in (a, b))
-        if a != b and not a.startswith("http"):
-            x = F.when(F.contains(x, F.lit(a)), F.regexp_replace(x, rf"\b{a}\b", b)).otherwise(x)
-    return x
-
-
-def digest(text: Column) -> Column:
-    x = canonical(text)
-    return F.when(F.length(x) > 0, F.sha2(x, 256))
+        spelled = F.regexp_replace(spelled, a, b)
+    rows = rows.withColumn(level, x).withColumn(one, F.when(F.col(level).rlike(ANY), spelled).otherwise(F.col(level)))
+    return rows.withColumn(out, F.when(F.length(one) > 0, F.sha2(one, 256))).drop(level, one)
 
 
 #: A line is looked up by itself if it holds one of these.
@@ -50,7 +49,7 @@ SIGNS = r"(?i)licen[cs]e|copyright|permission|spdx"
 
 def known_forms(licenses: DataFrame, name: str = "name", body: str = "text") -> DataFrame:
     """(form, names): one row for each canonical digest."""
-    known = licenses.select(F.col(name).cast("string").alias("name"), digest(F.col(body).cast("string")).alias("form"))
+    known = with_digest(licenses.select(F.col(name).cast("string").alias("name"), F.col(body).alias("body")), "body", "form")
     return known.where("form is not null and name is not null").groupBy("form").agg(F.array_sort(F.collect_set("name")).alias("names"))
 
 
@@ -61,10 +60,12 @@ def scan(docs: DataFrame, licenses: DataFrame, doc_id: str = "doc_id", text: str
     order of name.
     """
     whole = F.col(text).cast("string")
-    lines = F.transform(F.filter(F.split(F.when(whole.rlike(SIGNS), whole), "\n"), lambda x: x.rlike(SIGNS)), lambda x: x)
+    lines = F.filter(F.split(F.when(whole.rlike(SIGNS), whole), "\n"), lambda x: x.rlike(SIGNS))
     units = F.concat(F.array(F.struct(F.lit(True).alias("entire"), whole.alias("t"))), F.coalesce(F.transform(lines, lambda x: F.struct(F.lit(False).alias("entire"), x.alias("t"))), F.array().cast("array<struct<entire:boolean,t:string>>")))
-    rows = docs.select(F.col(doc_id).alias("doc_id"), F.monotonically_increasing_id().alias("row"), F.explode(units).alias("u"))
-    rows = rows.select("doc_id", "row", F.col("u.entire").alias("entire"), digest(F.col("u.t")).alias("form"))
+    # Numbered before the lines are taken apart, so that all units of a row carry its number.
+    rows = docs.select(F.col(doc_id).alias("doc_id"), units.alias("units")).withColumn("row", F.monotonically_increasing_id())
+    rows = rows.select("doc_id", "row", F.explode("units").alias("u"))
+    rows = with_digest(rows.select("doc_id", "row", F.col("u.entire").alias("entire"), F.col("u.t").alias("t")), "t", "form").drop("t")
     found = rows.join(known_forms(licenses, name, body), "form", "left")
     names = lambda entire: F.array_sort(F.array_distinct(F.flatten(F.collect_list(F.when(F.col("entire") == entire, F.col("names"))))))
     return found.groupBy("row").agg(F.any_value("doc_id").alias("doc_id"), F.max(F.when(F.col("entire"), F.col("form"))).alias("form_sha256"), names(True).alias("licenses"), names(False).alias("notices")).drop("row")
