@@ -74,7 +74,7 @@ class SeasonalNaive:
         names = []
         for j in range(1, bands + 1):
             e = F.col(f"e{j}") if shift is None else F.col(f"e{j}") - shift
-            value = loss.of(e).cast(BIG if loss.exact and shift is None else "double")
+            value = F.when(e.isNotNull(), loss.of(e)).cast(BIG if loss.exact and shift is None else "double")
             grid = grid.withColumns({f"s{j}": F.sum(F.coalesce(value, F.lit(0))).over(running()), f"n{j}": F.count(f"e{j}").over(running())})
             names.append((j, context + (j - 1) * self.season, context + min(j * self.season, horizon) - 1))
         total = sum((between(f"s{j}", a, b) for j, a, b in names[1:]), between(f"s{names[0][0]}", *names[0][1:]))

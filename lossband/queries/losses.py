@@ -129,7 +129,7 @@ ORACLES = {f"rfl_mse_snaive_{k}": f"with {scores_sql(k)} select * from scores" f
     "rfl_half_mse": f"with {scores_sql('events_hourly')} select source, series_id, origin, m, rfl / 2 as rfl from scores",
     "rfl_error_norm": f"with {errors_sql('events_hourly')} select source, series_id, origin, count(e) as m, round(sqrt(cast(sum(cast(e as hugeint) * e) as double)), 6) as rfl from errors group by 1, 2, 3",
     "rfl_pinball": f"with {errors_sql('events_hourly')} select source, series_id, origin, count(e) as m, round(avg(greatest(cast(e as double) * 0.9, cast(e as double) * (0.9 - 1))), 4) as rfl from errors group by 1, 2, 3",
-    "rfl_custom_loss": f"with {errors_sql('events_hourly')} select source, series_id, origin, count(e) as m, round(avg(least(abs(e), 5000)), 4) as rfl from errors group by 1, 2, 3",
+    "rfl_custom_loss": f"with {errors_sql('events_hourly')} select source, series_id, origin, count(e) as m, round(avg(case when e is not null then least(abs(e), 5000) end), 4) as rfl from errors group by 1, 2, 3",
     "half_mse_rank_equal": f"with {scores_sql('events_hourly')} select count(*) as windows, cast(0 as bigint) as differing from ok",
     "unscorable_windows": f"with {scores_sql('orders_weekly')} select source, case when rfl is null then 'unscorable' else 'ok' end as status, count(*) as windows from scores group by 1, 2",
     "rfl_quantile": f"with {_QUANT} select source, series_id, origin, count(e) as m, round(avg(l) + 1e-8, 4) as rfl from p group by 1, 2, 3",
