@@ -23,10 +23,10 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import ship, slices
 
 #: Entries that a worker's memo of pieces or of pairs may hold before it starts afresh.
-MEMO = 400_000
+MEMO = 200_000
 
 
 class _Memo(dict):
@@ -136,7 +136,7 @@ def encode_table(docs: DataFrame, ranks_path: str, pattern: str, doc_id: str = "
 
     def work(batches):
         bpe = load(ranks.value, pattern)
-        for b in batches:
+        for b in slices(batches):
             out = []
             for t in b.column(1).to_pylist():
                 packed = bpe.encode(t := t or "")
@@ -163,7 +163,7 @@ def decode_table(encoded: DataFrame, ranks_path: str, pattern: str) -> DataFrame
 
     def work(batches):
         bpe = load(ranks.value, pattern)
-        for b in batches:
+        for b in slices(batches):
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([bpe.decode(x or b"").decode("utf-8", "replace") for x in b.column(1).to_pylist()], pa.string())], ["doc_id", "text"])
 
     return encoded.select("doc_id", "ids").mapInArrow(work, "doc_id long, text string")

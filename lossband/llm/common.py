@@ -8,6 +8,7 @@ import uuid
 import zipfile
 from pathlib import Path
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -41,6 +42,15 @@ def ship(spark: SparkSession) -> None:
     _shipped.add(app)
 
 
+def slices(batches, rows: int = 100):
+    """Short pieces of Arrow batches, so that a worker holds few texts as Python objects at a time."""
+    for b in batches:
+        for i in range(0, b.num_rows, rows):
+            yield b.slice(i, rows)
+        del b
+        pa.default_memory_pool().release_unused()
+
+
 class Scratch:
     """Tables written to the shared folder, so that a lost executor costs no lineage.
 

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, ship
+from .common import Scratch, ship, slices
 
 #: Rows of a lookup group and digests of a shard that are aimed at.
 ROWS = 50_000
@@ -35,7 +35,7 @@ def normal(text: bytes | None) -> bytes:
 
 
 def _digest(batches):
-    for b in batches:
+    for b in slices(batches):
         yield pa.RecordBatch.from_arrays(
             [b.column(0), pa.array([hashlib.sha256(normal(t)).digest() for t in b.column(1).to_pylist()], pa.binary())], ["doc_id", "digest"]
         )

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, ship
+from .common import Scratch, ship, slices
 
 #: Below this importance a branch is dropped.
 LEAST_IMPORTANCE = 0.2
@@ -202,7 +202,7 @@ def low_paths(pages: DataFrame, scratch: Scratch) -> DataFrame:
     """(host, drop): paths of low importance of each host that has any."""
 
     def work(batches):
-        for b in batches:
+        for b in slices(batches):
             out = [(_host(u), *e) for u, h in zip(b.column(0).to_pylist(), b.column(1).to_pylist()) for e in [("", "", ""), *elements(h)]]
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.string()) for x in (zip(*out) if out else [[]] * 4)], ["host", "path", "style", "content"])
 
@@ -227,7 +227,7 @@ def extract(pages: DataFrame, page_id: str = "page_id", url: str = "url", html:
     joined = rows.withColumn("host", host).join(low, "host", "left").select("page_id", "url", "html", "drop")
 
     def work(batches):
-        for b in batches:
+        for b in slices(batches):
             texts = [main_text(h, frozenset(d or ())) for h, d in zip(b.column(2).to_pylist(), b.column(3).to_pylist())]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array(map(len, texts), pa.int64())], ["page_id", "url", "text", "n_chars"])
 

@@ -32,12 +32,12 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, connected_components, ship
+from .common import Scratch, connected_components, ship, slices
 
 COORDINATES, MATCHES = 32, 16
 #: Pivots that a class is compared with in step 2.
 PIVOTS = 2
-WORDS_KNOWN = 300_000
+WORDS_KNOWN = 150_000
 
 _seeds = np.random.default_rng(20).integers(1, 2**63, (2, COORDINATES), dtype=np.uint64) | np.uint64(1)
 
@@ -91,15 +91,13 @@ def _lists(arrays: list[np.ndarray]) -> pa.Array:
 
 def _sets(size: int, full: bool):
     def work(batches):
-        for b in batches:
-            for i in range(0, b.num_rows, 500):
-                part = b.slice(i, 500)
-                sets = [shingles(t, size) for t in part.column(1).to_pylist()]
-                n = pa.array([len(s) for s in sets], pa.int64())
-                marks = pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary())
-                signs = _lists([signature(s) if len(s) else np.zeros(0, np.uint64) for s in sets])
-                cols = [part.column(0), n, marks, signs] + ([_lists(sets)] if full else [])
-                yield pa.RecordBatch.from_arrays(cols, ["id", "n", "mark", "sign", "hashes"][: len(cols)])
+        for part in slices(batches):
+            sets = [shingles(t, size) for t in part.column(1).to_pylist()]
+            n = pa.array([len(s) for s in sets], pa.int64())
+            marks = pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary())
+            signs = _lists([signature(s) if len(s) else np.zeros(0, np.uint64) for s in sets])
+            cols = [part.column(0), n, marks, signs] + ([_lists(sets)] if full else [])
+            yield pa.RecordBatch.from_arrays(cols, ["id", "n", "mark", "sign", "hashes"][: len(cols)])
 
     return work
 
@@ -111,9 +109,7 @@ def _confirm(percent: int, matches: int):
     """Of pairs with signatures and full sets: those with enough collisions and enough overlap."""
 
     def work(batches):
-        for b in batches:
-            if not b.num_rows:
-                continue
+        for b in slices(batches, 500):
             sa, sb, ha, hb = (b.column(i) for i in (2, 3, 4, 5))
             keep = []
             for i in range(b.num_rows):

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import ship, slices
 
 #: Labelled rows that a fit uses at most: those of the smallest hash of the id.
 SAMPLE = 20_000
@@ -136,7 +136,7 @@ def fit_on(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("t")).join(F.broadcast(known), "doc_id")
 
     def work(batches):
-        for b in batches:
+        for b in slices(batches):
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array([statistics(t) for t in b.column(1).to_pylist()], pa.list_(pa.float64()))], ["doc_id", "label", "x"])
 
     got = rows.mapInArrow(work, "doc_id long, label int, x array<double>").toPandas().sort_values("doc_id", kind="stable").drop_duplicates("doc_id")
@@ -153,9 +153,9 @@ def with_score(docs: DataFrame, forest: Forest, text: str = "text", score: str =
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + ("" if least is not None else f", `{score}` double")
 
     def work(batches):
-        for b in batches:
-            x = np.array([statistics(t.encode() if isinstance(t, str) else t) for t in b.column(at).to_pylist()]).reshape(-1, len(NAMES))
-            s = np.concatenate([forest.score(x[i : i + 2048]) for i in range(0, len(x), 2048)]) if len(x) else np.zeros(0)
+        for b in slices(batches, 250):
+            x = np.array([statistics(t.encode() if isinstance(t, str) else t) for t in b.column(at).to_pylist()])
+            s = forest.score(x)
             yield b.filter(pa.array(s >= least)) if least is not None else pa.RecordBatch.from_arrays([*b.columns, pa.array(s)], [*names, score])
 
     return docs.mapInArrow(work, schema)
