@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.rank import ranked, scorable
+from ..sources.tables import keep
 
 KEY = ["source", "series_id", "origin"]
 
@@ -46,11 +47,9 @@ def average_rank(scores: DataFrame, name: str, by=None) -> DataFrame:
 
 def spearman(a: DataFrame, b: DataFrame, by=None) -> DataFrame:
     """Rank correlation over the windows that both can score; one row, or one a group."""
-    a, b = scorable(a), scorable(b)
-    both = a.select(*KEY).join(b.select(*KEY), KEY)
-    x = average_rank(a.join(both, KEY), "x", by)
-    y = average_rank(b.join(both, KEY), "y", by)
-    rows = x.join(y, KEY)
+    # Joined and written once: both rankings and the samples that their ranges come from read it.
+    pair = keep(scorable(a).select(*KEY, F.col("rfl").alias("a")).join(scorable(b).select(*KEY, F.col("rfl").alias("b")), KEY), "pair")
+    rows = average_rank(pair.select(*KEY, F.col("a").alias("rfl")), "x", by).join(average_rank(pair.select(*KEY, F.col("b").alias("rfl")), "y", by), KEY)
     agg = (F.count("*").alias("windows"), F.corr("x", "y").alias("rho"))
     return rows.groupBy(by).agg(*agg) if by else rows.agg(*agg)
 
@@ -58,7 +57,7 @@ def spearman(a: DataFrame, b: DataFrame, by=None) -> DataFrame:
 def spearman_matrix(scores: dict[str, DataFrame]) -> DataFrame:
     """(a, b, rho) for all pairs of references; each is ranked once, over the windows that all of them can score."""
     names = sorted(scores)
-    rows = reduce(lambda p, q: p.join(q, KEY), (scorable(scores[n]).select(*KEY, F.col("rfl").alias(n)) for n in names))
+    rows = keep(reduce(lambda p, q: p.join(q, KEY), (scorable(scores[n]).select(*KEY, F.col("rfl").alias(n)) for n in names)), "matrix")
     table = reduce(lambda p, q: p.join(q, KEY), (average_rank(rows.select(*KEY, F.col(n).alias("rfl")), n) for n in names))
     pairs = [(a, b) for i, a in enumerate(names) for b in names[i + 1 :]]
     got = table.agg(*(F.corr(a, b).alias(f"{a}|{b}") for a, b in pairs))

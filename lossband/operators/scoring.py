@@ -9,6 +9,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -224,20 +225,21 @@ class PointQuantile:
         return point.join(spread, ["source", "series_id", "origin"]).select("source", "series_id", "origin", "m", (F.col("p") + F.col("q") / 2).alias("rfl"))
 
 
-def gram(grid: DataFrame, lags: int, context: int, horizon: int, last: Column | None = None) -> DataFrame:
-    """(i, j, value): sums over training windows of products of the ``lags`` last context values (1..lags), the
-    constant (0) and the ``horizon`` future values (lags + 1 ..); missing values count as 0."""
-    y = F.coalesce("y", F.lit(0)).cast("long")
-    rows = grid.withColumn("z", y)
+def lag_rows(grid: DataFrame, lags: int, context: int, horizon: int, last: Column | None = None) -> DataFrame:
+    """(source, series_id, origin, x): x holds a constant, the last ``lags`` context values, newest first, and the
+    ``horizon`` future values of each window; missing values count as 0. ``last`` says which origins count."""
+    rows = grid.withColumn("z", F.coalesce("y", F.lit(0)).cast("long"))
     cols = [F.lit(1).cast("long"), *(F.lead("z", context - k).over(series()) if context - k else F.col("z") for k in range(1, lags + 1)), *(F.lead("z", context + h).over(series()) for h in range(horizon))]
     x = rows.select("source", "series_id", F.col("t").alias("origin"), F.array(*cols).alias("x")).where(F.col("x")[lags + horizon].isNotNull())
-    if last is not None:
-        x = x.where(last)
-    # Only products that a fit reads: features with features, features with futures.
+    return x if last is None else x.where(last)
+
+
+def gram(grid: DataFrame, lags: int, context: int, horizon: int, last: Column | None = None) -> DataFrame:
+    """(i, j, value): exact sums over windows of the products x[i] * x[j] that a fit reads (see ``lag_rows``)."""
     n = lags + 1
-    pairs = [(i, j) for i in range(n) for j in range(i, n + horizon)]
-    sums = x.agg(*(F.sum((F.col("x")[i] * F.col("x")[j]).cast(BIG)).alias(f"{i}_{j}") for i, j in pairs))
-    return sums.unpivot([], [f"{i}_{j}" for i, j in pairs], "ij", "value").select(F.split("ij", "_")[0].cast("int").alias("i"), F.split("ij", "_")[1].cast("int").alias("j"), F.col("value").cast("double").alias("value"))
+    pairs = F.array(*(F.struct(F.lit(i).alias("i"), F.lit(j).alias("j")) for i in range(n) for j in range(i, n + horizon)))
+    rows = lag_rows(grid, lags, context, horizon, last).select("x", F.explode(pairs).alias("p")).select("p.*", F.element_at("x", F.col("p.i") + 1).alias("a"), F.element_at("x", F.col("p.j") + 1).alias("b"))
+    return rows.groupBy("i", "j").agg(F.sum((F.col("a") * F.col("b")).cast(BIG)).cast("double").alias("value"))
 
 
 @dataclass(frozen=True)
@@ -253,11 +255,23 @@ class RidgeDirect:
         return f"ridge_{self.lags}"
 
     def fit(self, grid: DataFrame, context: int, horizon: int, last: Column | None = None) -> RidgeDirect:
-        """The sums come to the driver (their number depends on lags and horizon only); the solution is kept frozen."""
-        n, g = self.lags + 1, np.zeros((self.lags + 1, self.lags + 1 + horizon))
-        for r in gram(grid, self.lags, context, horizon, last).collect():
-            g[r["i"], r["j"]] = r["value"] or 0.0
-        a = np.triu(g[:, :n]) + np.triu(g[:, :n], 1).T
+        """Every partition sums its products, Spark sums those, and the driver solves; what reaches it depends on
+        lags and horizon only. The solution is kept frozen."""
+        n = self.lags + 1
+
+        def work(batches):
+            total = np.zeros((n, n + horizon))
+            for b in batches:
+                if len(b):
+                    x = np.stack(b["x"].to_numpy()).astype(float)
+                    total += x[:, :n].T @ x
+            yield pd.DataFrame({"k": np.arange(total.size), "v": total.ravel()})
+
+        g = np.zeros(n * (n + horizon))
+        for r in lag_rows(grid, self.lags, context, horizon, last).select("x").mapInPandas(work, "k int, v double").groupBy("k").agg(F.sum("v").alias("v")).collect():
+            g[r["k"]] = r["v"]
+        g = g.reshape(n, n + horizon)
+        a = g[:, :n]
         scale = max(np.trace(a[1:, 1:]) / max(self.lags, 1), 1.0)
         penalty = np.diag([0.0] + [self.ridge * 1e-6 * scale] * self.lags)
         w = np.linalg.lstsq(a + penalty, g[:, n:], rcond=None)[0]

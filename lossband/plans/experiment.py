@@ -24,11 +24,15 @@ def corpus(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, Corp
     return build(spark, sf_dir, name), CORPORA[name]
 
 
-def strategies(scores: DataFrame, alpha, seed: int = 0) -> dict[str, DataFrame]:
-    return {
-        "central": sel.central(scores, alpha), "global": sel.central(scores, alpha, by=None), "bottom": sel.bottom(scores, alpha), "top": sel.top(scores, alpha),
-        "random_stratified": sel.random_stratified(scores, alpha, seed), "random_global": sel.random_global(scores, alpha, seed),
+STRATEGIES = ("central", "global", "bottom", "top", "random_stratified", "random_global")
+
+
+def strategies(scores: DataFrame, alpha, seed: int = 0, kinds=STRATEGIES) -> dict[str, DataFrame]:
+    make = {
+        "central": lambda: sel.central(scores, alpha), "global": lambda: sel.central(scores, alpha, by=None), "bottom": lambda: sel.bottom(scores, alpha), "top": lambda: sel.top(scores, alpha),
+        "random_stratified": lambda: sel.random_stratified(scores, alpha, seed), "random_global": lambda: sel.random_global(scores, alpha, seed),
     }
+    return {k: make[k]() for k in kinds}
 
 
 def evaluate(grid: DataFrame, c: Corpus, w, lags: int) -> tuple[float, float]:
@@ -52,7 +56,7 @@ def retention_grid(spark, sf_dir, names=("planted",), alphas=("2/5", "3/5", "4/5
         scores = keep(score(grid, reference or SeasonalNaive(c.season), c.context, c.horizon), "scores")
         for seed in seeds:
             cells = {("full", "1"): sel.full(scores)} if seed == seeds[0] else {}
-            cells |= {(k, a): rows for a in alphas for k, rows in strategies(scores, a, seed).items() if k in kinds}
+            cells |= {(k, a): rows for a in alphas for k, rows in strategies(scores, a, seed, kinds).items()}
             for (k, a), rows in cells.items():
                 train = keep(tg.examples(grid, rows, lags, c.context, c.horizon), "train")
                 mse, rel = evaluate(grid, c, tg.fit_ridge(train, lags, c.horizon), lags)
@@ -103,10 +107,9 @@ def trajectories(spark, sf_dir, name: str = "planted", alphas=("2/5", "4/5"), ki
     held = keep(tg.examples(grid, validation_keys(lengths(grid), c.context, c.horizon), lags, c.context, c.horizon), "held")
     out = []
     for a in alphas:
-        for k, rows in strategies(scores, a).items():
-            if k in kinds:
-                _, curve = tg.fit_sgd(tg.examples(grid, rows, lags, c.context, c.horizon), lags, c.horizon, replace(spec), held)
-                out += [(k, a, spec.seed, step, loss) for step, loss in curve]
+        for k, rows in strategies(scores, a, kinds=kinds).items():
+            _, curve = tg.fit_sgd(tg.examples(grid, rows, lags, c.context, c.horizon), lags, c.horizon, replace(spec), held)
+            out += [(k, a, spec.seed, step, loss) for step, loss in curve]
     return spark.createDataFrame(out, "strategy string, alpha string, seed int, step int, val_loss double")
 
 

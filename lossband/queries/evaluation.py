@@ -220,13 +220,13 @@ _HELD = f"""{_C}, f as (select source, series_id, t, y, lag(y, 13) over (partiti
     ratios as (select a.task_id, a.metric, a.model, a.value / b.value as ratio from long a join long b on a.task_id = b.task_id and a.metric = b.metric and b.model = 'snaive')"""
 _TWO = f"""{scores_sql('supplier_weekly')}, v as (select k.source, k.series_id, k.origin, arg_max(c.y, c.t) filter (c.y is not null) as v from keys k join cells c on c.source = k.source and c.series_id = k.series_id and c.t >= k.origin and c.t < k.origin + {S.context} group by 1, 2, 3),
     other as (select k.source, k.series_id, k.origin, cast(sum(cast(f.y - v as hugeint) * (f.y - v)) as double) / count(f.y) as rfl from v k join cells f on f.source = k.source and f.series_id = k.series_id and f.t >= k.origin + {S.context} and f.t < k.origin + {S.context + S.horizon} group by 1, 2, 3 having count(f.y - v) > 0),
-    both as (select a.source, a.rfl as x, b.rfl as y from ok a join other b on a.source = b.source and a.series_id = b.series_id and a.origin = b.origin)"""
+    pair as (select a.source, a.rfl as x, b.rfl as y from ok a join other b on a.source = b.source and a.series_id = b.series_id and a.origin = b.origin)"""
 
 
 def _avg_ranks(part):
     p = f"partition by {part}" if part else ""
     r = lambda c: f"rank() over ({p} order by {c}) + (count(*) over (partition by {part + ', ' if part else ''}{c}) - 1) / 2.0"
-    return f"ranks as (select source, {r('x')} as x, {r('y')} as y from both)"
+    return f"ranks as (select source, {r('x')} as x, {r('y')} as y from pair)"
 
 
 _WORDS = "list_filter(string_split_regex(lower(coalesce(text, '')), '[^a-z]+'), lambda w: w <> '')"

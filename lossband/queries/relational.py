@@ -169,7 +169,7 @@ QUERIES = {
     "agg_quantile_kll": agg_kll,
     "agg_moments": lambda s, d: T(s, d, E).groupBy("event_type").agg(F.round(F.avg("value"), 6).alias("mean"), F.round(F.stddev_pop("value"), 6).alias("sd"), F.round(F.corr("user_id", "value"), 6).alias("r"), F.round(F.covar_pop("user_id", "value"), 3).alias("cov")),
     "agg_regr": lambda s, d: T(s, d, E).groupBy("event_type").agg(F.round(F.regr_slope("value", "user_id"), 6).alias("slope"), F.round(F.regr_intercept("value", "user_id"), 5).alias("icpt")),
-    "agg_min_by": lambda s, d: naive(s, d).groupBy("source").agg(F.min_by("origin", "rfl").alias("easiest"), F.max_by("origin", "rfl").alias("hardest")),
+    "agg_min_by": lambda s, d: naive(s, d).groupBy("source").agg(F.min_by("origin", F.struct("rfl", "origin")).alias("easiest"), F.max_by("origin", F.struct("rfl", "origin")).alias("hardest")),
     "agg_rollup": lambda s, d: T(s, d, E).withColumn("big", F.col("value") > 50).rollup("event_type", "big").agg(F.count("*").alias("n"), F.grouping_id().cast("int").alias("g")),
     "agg_cube": lambda s, d: T(s, d, "orders").cube("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"), F.grouping_id().cast("int").alias("g")),
     "agg_grouping_sets": lambda s, d: (T(s, d, "orders").createOrReplaceTempView("orders"), s.sql("select o_orderstatus, o_orderpriority, count(*) as n from orders group by grouping sets ((o_orderstatus), (o_orderpriority), ())"))[1],
@@ -237,7 +237,7 @@ ORACLES = {
     "agg_quantile_kll": f"with {_N} select distinct source, true as near from ok",
     "agg_moments": "select event_type, round(avg(value), 6) as mean, round(stddev_pop(value), 6) as sd, round(corr(user_id, value), 6) as r, round(covar_pop(user_id, value), 3) as cov from events group by 1",
     "agg_regr": "select event_type, round(regr_slope(value, user_id), 6) as slope, round(regr_intercept(value, user_id), 5) as icpt from events group by 1",
-    "agg_min_by": f"with {_N} select source, arg_min(origin, rfl) as easiest, arg_max(origin, rfl) as hardest from ok group by 1",
+    "agg_min_by": f"with {_N} select source, arg_min(origin, (rfl, origin)) as easiest, arg_max(origin, (rfl, origin)) as hardest from ok group by 1",
     "agg_rollup": "select event_type, big, count(*) as n, cast(grouping_id(event_type, big) as integer) as g from (select event_type, value > 50 as big from events) group by rollup (event_type, big)",
     "agg_cube": "select o_orderstatus, o_orderpriority, count(*) as n, cast(grouping_id(o_orderstatus, o_orderpriority) as integer) as g from orders group by cube (o_orderstatus, o_orderpriority)",
     "agg_grouping_sets": "select o_orderstatus, o_orderpriority, count(*) as n from orders group by grouping sets ((o_orderstatus), (o_orderpriority), ())",

@@ -10,6 +10,8 @@ from ..functions import metrics as mt
 from ..operators import select as sel
 from ..operators.grid import CORPORA
 from ..operators.rank import cutoffs, distributed, local
+from ..schema import Alpha
+from ..sources.tables import keep
 from .common import naive, plain, scores_sql
 
 ALPHAS = {"40": "2/5", "60": "3/5", "80": "4/5"}
@@ -64,35 +66,41 @@ def transfer_overlap(spark, sf):
 
 
 def retention_grid_sizes(spark, sf):
-    """Windows kept in every cell of the retention grid; equal sizes are what makes random a fair control."""
+    """Windows kept in every cell of the retention grid; equal sizes are what makes random a fair control.
+
+    Each corpus is scored once, and each ranking serves all ratios.
+    """
     out = None
     for name in ("events_hourly", "supplier_weekly", "embedding_axis"):
-        scores = naive(spark, sf, name)
-        for label, alpha in ALPHAS.items():
-            cells = {"central": sel.central(scores, alpha), "global": sel.central(scores, alpha, by=None), "random_stratified": sel.random_stratified(scores, alpha)}
-            for how, rows in cells.items():
-                one = rows.agg(F.lit(name).alias("corpus"), F.lit(how).alias("strategy"), F.lit(int(label)).alias("percent"), F.count("*").alias("kept"))
-                out = one if out is None else out.unionByName(one)
+        scores = keep(naive(spark, sf, name), "scores")
+        hashed = scores.withColumn("rfl", F.when(F.col("rfl").isNotNull(), F.xxhash64(*KEYS).cast("double")))
+        for how, rows in (("central", sel.sweep(scores, ALPHAS.values())), ("global", sel.sweep(scores, ALPHAS.values(), by=None)), ("random_stratified", sel.sweep(hashed, ALPHAS.values()))):
+            one = rows.groupBy((F.col("alpha_num") * 100 / F.col("alpha_den")).cast("int").alias("percent")).agg(F.count("*").alias("kept")).select(F.lit(name).alias("corpus"), F.lit(how).alias("strategy"), "percent", "kept")
+            out = one if out is None else out.unionByName(one)
     return out
 
 
 def region_loss_summary(spark, sf):
-    scores = naive(spark, sf, "supplier_weekly")
-    out = None
+    """Scores of the lowest, middle and highest part of every source, from one ranking."""
+    rows = keep(distributed(naive(spark, sf, "supplier_weekly")), "ranked")
+    n, r, out = F.col("n"), F.col("rank_key"), None
     for label in ("40", "80"):
-        for name, rows in (("bottom", sel.bottom(scores, ALPHAS[label])), ("top", sel.top(scores, ALPHAS[label])), ("central", sel.central(scores, ALPHAS[label]))):
-            one = rows.agg(F.lit(name).alias("region"), F.lit(int(label)).alias("percent"), F.count("*").alias("windows"), F.min("rfl").alias("least"), F.max("rfl").alias("most"), F.round(F.avg("rfl"), 6).alias("mean"))
+        a = Alpha.of(ALPHAS[label])
+        for name, test in (("bottom", r <= sel.kept(n, a)), ("top", r > n - sel.kept(n, a)), ("central", sel.by_count(n, r, a))):
+            one = rows.where(test).agg(F.lit(name).alias("region"), F.lit(int(label)).alias("percent"), F.count("*").alias("windows"), F.min("rfl").alias("least"), F.max("rfl").alias("most"), F.round(F.avg("rfl"), 6).alias("mean"))
             out = one if out is None else out.unionByName(one)
     return out
 
 
 def diversity_strat_vs_global(spark, sf):
+    """Shares of sources under both rules, each corpus scored once and ranked once by each rule."""
     out = None
     for name in ("events_hourly", "supplier_weekly"):
-        scores = naive(spark, sf, name)
-        for label, alpha in ALPHAS.items():
-            for how, by in (("stratified", "source"), ("global", None)):
-                d = mt.diversity(sel.share_report(scores, sel.central(scores, alpha, by=by)))
+        scores = keep(naive(spark, sf, name), "scores")
+        for how, by in (("stratified", "source"), ("global", None)):
+            rows = keep(distributed(scores, by), "ranked")
+            for label, alpha in ALPHAS.items():
+                d = mt.diversity(sel.share_report(scores, rows.where(sel.by_count(F.col("n"), F.col("rank_key"), Alpha.of(alpha)))))
                 one = mt.rounded(d, 6, "least_retention", "most_retention", "total_variation", "entropy").select(F.lit(name).alias("corpus"), F.lit(how).alias("strategy"), F.lit(int(label)).alias("percent"), "*")
                 out = one if out is None else out.unionByName(one)
     return out
@@ -178,7 +186,7 @@ def _central(rule, alpha):
 
 
 _OUT = "source, series_id, origin, m, rfl"
-_LCG = "((({a} * 48271 + cast(series_id as bigint) * 16807 + 12345) % 2147483647) * 48271 + origin * 16807 + 12345) % 2147483647".format(a=3 * 69621 % 2147483647)
+_LCG = "(((cast({a} as bigint) * 48271 + cast(series_id as bigint) * 16807 + 12345) % 2147483647) * 48271 + origin * 16807 + 12345) % 2147483647".format(a=3 * 69621 % 2147483647)
 
 
 def _share_sql(where, by="source"):
