@@ -35,16 +35,22 @@ def strategies(scores: DataFrame, alpha, seed: int = 0, kinds=STRATEGIES) -> dic
     return {k: make[k]() for k in kinds}
 
 
-def evaluate(grid: DataFrame, c: Corpus, w, lags: int) -> tuple[float, float]:
-    """MSE in the scale of the context, and point error relative to the seasonal naive forecast, on the held-out horizons."""
-    keys = validation_keys(lengths(grid), c.context, c.horizon)
-    rows = tg.examples(grid, keys, lags, c.context, c.horizon)
-    errors = tg.forecast_errors(rows, w).join(rows.select(*tg.KEY, "size"), tg.KEY)
-    mse, mae = errors.agg(F.avg((F.col("e") / F.col("size")) ** 2), F.avg(F.abs(F.col("e") / F.col("size")))).first()
-    naive = SeasonalNaive(c.season).error(grid, 1)
-    base = naive.join(keys, ["source", "series_id"]).where((F.col("t") >= F.col("origin") + c.context) & (F.col("t") < F.col("origin") + c.context + c.horizon))
-    base = base.join(rows.select(*tg.KEY, "size"), tg.KEY).agg(F.avg(F.abs(F.col("e1") / F.col("size")))).first()[0]
-    return mse, (mae / base if mae is not None and base else None)
+class Judge:
+    """The held-out horizons of a corpus and the seasonal naive error on them, prepared once for all targets."""
+
+    def __init__(self, grid: DataFrame, c: Corpus, lags: int):
+        keys = validation_keys(lengths(grid), c.context, c.horizon)
+        self.held = keep(tg.examples(grid, keys, lags, c.context, c.horizon), "held")
+        naive = SeasonalNaive(c.season).error(grid, 1).select("source", "series_id", "t", "e1")
+        ends = self.held.select("source", "series_id", "origin", "size")
+        inside = (F.col("t") >= F.col("origin") + c.context) & (F.col("t") < F.col("origin") + c.context + c.horizon)
+        self.base = naive.join(ends, ["source", "series_id"]).where(inside).agg(F.avg(F.abs(F.col("e1") / F.col("size")))).first()[0]
+
+    def __call__(self, w) -> tuple[float, float]:
+        """MSE in the scale of the context, and absolute error relative to the seasonal naive forecast."""
+        e = F.col("e") / F.col("size")
+        mse, mae = tg.forecast_errors(self.held, w).agg(F.avg(e * e), F.avg(F.abs(e))).first()
+        return mse, (mae / self.base if mae is not None and self.base else None)
 
 
 def retention_grid(spark, sf_dir, names=("planted",), alphas=("2/5", "3/5", "4/5"), kinds=("central", "random_global"), lags: int = 8, seeds=(0,), reference=None) -> DataFrame:
@@ -54,12 +60,14 @@ def retention_grid(spark, sf_dir, names=("planted",), alphas=("2/5", "3/5", "4/5
         grid, c = corpus(spark, sf_dir, name)
         grid = keep(grid, "grid")
         scores = keep(score(grid, reference or SeasonalNaive(c.season), c.context, c.horizon), "scores")
+        judge, pool = Judge(grid, c, lags), keep(tg.examples(grid, sel.full(scores), lags, c.context, c.horizon), "pool")
         for seed in seeds:
             cells = {("full", "1"): sel.full(scores)} if seed == seeds[0] else {}
             cells |= {(k, a): rows for a in alphas for k, rows in strategies(scores, a, seed, kinds).items()}
             for (k, a), rows in cells.items():
-                train = keep(tg.examples(grid, rows, lags, c.context, c.horizon), "train")
-                mse, rel = evaluate(grid, c, tg.fit_ridge(train, lags, c.horizon), lags)
+                # The pool's examples are made once; a selection is a semi join of keys with them.
+                train = keep(pool if k == "full" else pool.join(rows.select(*tg.KEY), tg.KEY, "left_semi"), "train")
+                mse, rel = judge(tg.fit_ridge(train, lags, c.horizon))
                 out.append((name, k, a, seed, train.count(), mse, rel))
     return spark.createDataFrame(out, "corpus string, strategy string, alpha string, seed int, kept long, mse double, relative double")
 
@@ -91,10 +99,10 @@ def transfer(spark, sf_dir, name: str = "planted", which=("linear_mini", "linear
     """(reference, kept, mse, relative): one target trained on what each reference selects."""
     grid, c = corpus(spark, sf_dir, name)
     grid = keep(grid, "grid")
-    out = []
+    judge, out = Judge(grid, c, lags), []
     for k, scores in score_all(spark, sf_dir, name, which).items():
         train = keep(tg.examples(grid, sel.central(scores, alpha), lags, c.context, c.horizon), "train")
-        mse, rel = evaluate(grid, c, tg.fit_ridge(train, lags, c.horizon), lags)
+        mse, rel = judge(tg.fit_ridge(train, lags, c.horizon))
         out.append((k, train.count(), mse, rel))
     return spark.createDataFrame(out, "reference string, kept long, mse double, relative double")
 

@@ -97,11 +97,11 @@ def fit_sgd(rows: DataFrame, lags: int, horizon: int, spec: TrainSpec, validatio
 
 
 def forecast_errors(rows: DataFrame, w: np.ndarray) -> DataFrame:
-    """(key, h, y, e): errors of the forecasts in the scale of the data, observed slots only."""
+    """(key, size, h, y, e): errors of the forecasts in the scale of the data, observed slots only."""
     cols = [F.array(*(F.lit(float(v)) for v in w[:, h])) for h in range(w.shape[1])]
     forecast = F.array(*(F.aggregate(F.zip_with("x", c, lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v) for c in cols))
     z = rows.select(*KEY, "size", F.posexplode(F.arrays_zip(F.col("future").alias("y"), forecast.alias("f"), F.col("mask").alias("k"))).alias("h", "z"))
-    return z.where("z.k = 1").select(*KEY, "h", (F.col("z.y") * F.col("size")).alias("y"), ((F.col("z.y") - F.col("z.f")) * F.col("size")).alias("e"))
+    return z.where("z.k = 1").select(*KEY, "size", "h", (F.col("z.y") * F.col("size")).alias("y"), ((F.col("z.y") - F.col("z.f")) * F.col("size")).alias("e"))
 
 
 def budget_report(kept: int, spec: TrainSpec) -> dict:
