@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.loss import MSE, ErrorLoss, mean_where
+from ..sources.tables import ship
 from .grid import pack
 
 BIG = "decimal(38,0)"
@@ -257,6 +258,7 @@ class RidgeDirect:
     def fit(self, grid: DataFrame, context: int, horizon: int, last: Column | None = None) -> RidgeDirect:
         """Every partition sums its products, Spark sums those, and the driver solves; what reaches it depends on
         lags and horizon only. The solution is kept frozen."""
+        ship(grid.sparkSession)
         n = self.lags + 1
 
         def work(batches):
@@ -292,6 +294,7 @@ def arrow_scores(grid: DataFrame, predict, context: int, horizon: int, loss=None
     Missing values are NaN. ``loss(forecast, future, mask) -> rows`` defaults to the masked mean squared
     error. A long series is spread over chunks that carry a halo, so no worker holds it whole.
     """
+    ship(grid.sparkSession)
     span = context + horizon
     rows = pack(grid, chunk, span - 1).select("source", "series_id", "chunk", "t0", "values", "observed")
 

@@ -49,5 +49,8 @@ class WindowExplode:
 
 
 def udtf_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ..sources.tables import ship
+
+    ship(spark)
     spark.udtf.register("window_explode", WindowExplode)
     return spark.sql("SELECT w.origin, s.series_id FROM VALUES ('a', 40), ('b', 30) AS s(series_id, length), LATERAL window_explode(s.length, 8, 4, 4) AS w")

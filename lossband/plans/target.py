@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.tables import ship
 from .theory import last_features
 
 KEY = ["source", "series_id", "origin"]
@@ -47,6 +48,7 @@ def fit_ridge(rows: DataFrame, lags: int, horizon: int, ridge: float = 1.0) -> n
 
     What reaches the driver are (lags + 1) x (lags + 1 + horizon) numbers, whatever the number of rows.
     """
+    ship(rows.sparkSession)
     n = lags + 1
 
     def work(batches):

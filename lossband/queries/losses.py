@@ -63,6 +63,10 @@ def prob_score_gaussian(spark, sf):
     import pandas as pd
     from pyspark.sql import Window
 
+    from ..sources.tables import ship
+
+    ship(spark)
+
     past = Window.partitionBy("source", "series_id").orderBy("t").rowsBetween(-48, -1)
     rows = grid(spark, sf).select("source", "y", F.avg("y").over(past).alias("mu"), F.greatest(F.stddev_pop("y").over(past), F.lit(1.0)).alias("sigma"), F.col("t")).where("y is not null and mu is not null and t >= 48")
 

@@ -102,6 +102,8 @@ def join_lateral(spark, sf):
 def udaf_masked_mean(spark, sf):
     import pandas as pd
 
+    tb.ship(spark)
+
     @F.pandas_udf("double")
     def masked_mean(y: pd.Series) -> float:
         return float(y.dropna().mean()) if y.notna().any() else None
@@ -113,6 +115,8 @@ def udf_dot(spark, sf):
     import numpy as np
     import pandas as pd
 
+    tb.ship(spark)
+
     @F.pandas_udf("double")
     def dot(v: pd.Series) -> pd.Series:
         x = np.stack(v.to_numpy()).astype(float)

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import sys
 import uuid
 from collections.abc import Iterator
 
 import pandas as pd
+from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
@@ -79,6 +81,8 @@ def online_scores(rows: DataFrame, context: int, horizon: int, season: int) -> D
     """Scores of ``rows(source, series_id, t, y)``, whose slots come in order; horizon at most one season."""
     if horizon > season or context < season:
         raise ValueError("the season must cover the horizon and fit the context")
+    # The process that plans the state has no added files, so the processor travels by value.
+    cloudpickle.register_pickle_by_value(sys.modules[__name__])
     return rows.groupBy("source", "series_id").transformWithStateInPandas(
         OnlineScore(context, horizon, season), outputStructType="source string, series_id string, origin long, m long, rfl double", outputMode="Append", timeMode="None"
     )
