@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import ship, slices
 
 #: Entries that a worker's memo of pieces or of pairs may hold before it starts afresh.
-MEMO = 200_000
+MEMO = 400_000
 
 
 class _Memo(dict):
