@@ -6,6 +6,11 @@ tables cuts the line of a few Gaussian projections into cells. A query visits, i
 cell and then those that perturbing single projections reaches, in the order of the estimated chance that
 a near vector lies there; the tables' candidates are merged and ranked by exact inner products.
 
+How many cells a query visits, and how many hashes a table has, follow from recall that is measured before
+the search: some of the queries are answered by brute force over all vectors, and the visits at which the
+tables would meet those answers are counted. Visits are raised, then hashes taken away, until the share met
+is large enough; a table without hashes is one cell, so the last resort is brute force for all queries.
+
 Cells are cut into blocks of bounded size, and a block meets the queries that visit its cell as one matrix
 product; only the best of a block leave it.
 
@@ -30,6 +35,11 @@ from .common import Scratch, ship
 SAMPLE = 4_096
 #: Index rows of one block, at most.
 BLOCK = 4_096
+#: Queries answered by brute force over all vectors, the share of their answers that visits must meet, and
+#: the visits a table beyond which hashes are taken away instead.
+FIT = 128
+FIT_RECALL = 0.95
+MOST_PROBES = 64
 
 
 class Tables:
@@ -67,6 +77,8 @@ class Tables:
         a set that moves one projection both ways is passed over.
         """
         own = np.floor(place)
+        if not len(own):
+            return [own]
         frac = place - own
         steps = sorted([(f * f, j, -1) for j, f in enumerate(frac)] + [((1 - f) ** 2, j, 1) for j, f in enumerate(frac)])
         out, heap = [own], [(steps[0][0], (0,))]
@@ -97,11 +109,73 @@ def _matrix(column) -> np.ndarray:
     return np.stack(column.to_numpy(zero_copy_only=False)).astype(float)
 
 
+def _best(ids: np.ndarray, q: np.ndarray, reps: np.ndarray, x: np.ndarray, k: int) -> pa.Table:
+    """(query, rep, score) of the k + 1 best of ``x`` for every query, and of all that tie with the last of them."""
+    out = [(ids[:0], reps[:0], np.zeros(0))]
+    for i in range(0, len(ids), 512):
+        s = q[i : i + 512] @ x.T
+        if s.shape[1] > k + 1:
+            # Everything that ties with the last of the best stays, for ties go by id.
+            least = np.partition(s, s.shape[1] - k - 1, axis=1)[:, s.shape[1] - k - 1]
+            row, col = np.nonzero(s >= (least - 1e-12 * np.abs(least))[:, None])
+        else:
+            row, col = np.nonzero(np.ones_like(s, bool))
+        out.append((ids[i + row], reps[col], s[row, col]))
+    a, b, c = (np.concatenate(z) for z in zip(*out))
+    return pa.table({"query": a.astype(np.int64), "rep": b.astype(np.int64), "score": c})
+
+
+def _exact(met: DataFrame, asked: DataFrame, base: DataFrame, k: int) -> DataFrame:
+    """(query, score, vec_id, rep, rank): exact ranking of the met pairs on the original vectors."""
+    best = met.groupBy("query", "rep").agg(F.max("score").alias("rough"))
+    order = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("rough"), "rep"))
+    best = best.withColumn("nth", order).where(F.col("nth") <= 2 * k + 2).drop("nth", "rough")
+    q = asked.select(F.col("id").alias("query"), F.col("v").alias("qv")).distinct()
+    dot = F.aggregate(F.zip_with("qv", "v", lambda a, b: a * b), F.lit(0.0), lambda acc, x: acc + x)
+    exact = best.join(q, "query").join(base.select("rep", "v", "ids"), "rep").select("query", "rep", dot.alias("score"), F.explode("ids").alias("vec_id")).where("query <> vec_id")
+    rank = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "vec_id"))
+    return exact.withColumn("rank", rank).where(F.col("rank") <= k)
+
+
+def _answers(base: DataFrame, asked: DataFrame, dim: int, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Queries of one length, and brute force answers to them: the query's row and the vector of each answer."""
+    own = asked.where(F.col("dim") == dim)
+    some = own.groupBy("id").agg(F.min("v").alias("v")).orderBy(F.xxhash64("id")).limit(FIT).toPandas()
+    if not len(some):
+        return np.zeros((0, dim)), np.zeros(0, int), np.zeros((0, dim))
+    ids, q = some["id"].to_numpy(), np.stack(some["v"].to_numpy()).astype(float)
+
+    def scan(batches):
+        for b in batches:
+            if b.num_rows:
+                yield from _best(ids, q, b.column(0).to_numpy(), _matrix(b.column(1)), k).to_batches()
+
+    rows = base.where(F.col("dim") == dim)
+    met = rows.select("rep", "v").mapInArrow(scan, "query long, rep long, score double")
+    few = base.sparkSession.createDataFrame([(int(i), v.tolist()) for i, v in zip(ids, q)], "id long, v array<double>")
+    found = _exact(met, F.broadcast(few), rows, k).select("query", "rep").join(rows.select("rep", "v"), "rep").select("query", "v").toPandas()
+    at = {i: n for n, i in enumerate(ids)}
+    return q, np.array([at[i] for i in found["query"]], int), np.stack(found["v"].to_numpy()).astype(float) if len(found) else np.zeros((0, dim))
+
+
+def _met_at(model: Tables, q: np.ndarray, row: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """For each answer, the number of visits to every table after which one of them has met it; infinite if none does."""
+    place, keys = model.places(q, True), Tables.key(np.floor(model.places(x, False)))
+    out = np.full(len(row), np.inf)
+    for i in range(len(q)):
+        mine = np.flatnonzero(row == i)
+        for t in range(place.shape[1]):
+            nth = {c: n + 1 for n, c in reversed(list(enumerate(Tables.key(np.array(model.visits(place[i, t]))).tolist())))}
+            out[mine] = np.minimum(out[mine], [nth.get(c, np.inf) for c in keys[mine, t].tolist()])
+    return out
+
+
 def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, tables: int = 4, bits: int | None = None, probes: int | None = None, width: float = 2.25, seed: int = 11, vec_id: str = "vec_id", embedding: str = "embedding") -> DataFrame:
     """(query_id, rank, vec_id, score): the ``k`` rows of largest inner product found, not counting the query's own.
 
-    ``bits`` grows with the logarithm of the number of different vectors unless given, and ``probes`` with
-    ``bits``; ``width`` of a cell is in spreads of a projection.
+    ``bits`` starts from the logarithm of the number of different vectors unless given, and ``probes`` from
+    ``bits``; measured recall raises the one and lowers the other. ``width`` of a cell is in spreads of a
+    projection.
     """
     spark = vectors.sparkSession
     ship(spark)
@@ -117,10 +191,21 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, tables: int = 4
     for r in stats:
         sample = base.where(F.col("dim") == r["dim"]).orderBy(F.xxhash64("rep")).limit(SAMPLE).select("v").toPandas()["v"]
         x = np.stack(sample.to_numpy()).astype(float)
-        m = bits or max(1, round(math.log2(max(r["n"], 2) / 600)))
-        model = Tables(r["dim"], math.sqrt(r["top"]), 1.0, tables, m, 1, 1.0, seed)
+        m = max(1, round(math.log2(max(r["n"], 2) / 600))) if bits is None else bits
+        model = Tables(r["dim"], math.sqrt(r["top"]), 1.0, tables, max(m, 1), 1, 1.0, seed)
         spread = float((np.einsum("nd,tkd->ntk", model.lift(x, False), model.a)).std()) if len(x) else 1.0
-        models[r["dim"]] = Tables(r["dim"], math.sqrt(r["top"]), spread, tables, m, probes or max(16, 6 * m), width, seed)
+        q, row, answers = _answers(base, asked, r["dim"], k)
+        while True:
+            least = probes or max(16, 6 * m)
+            # Without hashes every table is the same one cell.
+            model = Tables(r["dim"], math.sqrt(r["top"]), spread, tables if m else 1, m, max(least, MOST_PROBES), width, seed)
+            at = np.sort(_met_at(model, q, row, answers))
+            need = at[math.ceil(FIT_RECALL * len(at)) - 1] if len(at) else 1
+            if need <= model.probes:
+                break
+            m -= 1
+        model.probes = max(least, int(need))
+        models[r["dim"]] = model
 
     def index(batches):
         for b in batches:
@@ -158,27 +243,7 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, tables: int = 4
         empty = pa.table({"query": pa.array([], pa.int64()), "rep": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
         if not have.num_rows or not want.num_rows:
             return empty
-        x, reps, ids = _matrix(have.column("v")), have.column("id").to_numpy(), want.column("id").to_numpy()
-        q_all, out = _matrix(want.column("v")), []
-        for i in range(0, len(ids), 512):
-            s = q_all[i : i + 512] @ x.T
-            if s.shape[1] > k + 1:
-                # Everything that ties with the last of the best stays, for ties go by id.
-                least = np.partition(s, s.shape[1] - k - 1, axis=1)[:, s.shape[1] - k - 1]
-                row, col = np.nonzero(s >= (least - 1e-12 * np.abs(least))[:, None])
-            else:
-                row, col = np.nonzero(np.ones_like(s, bool))
-            out.append((ids[i + row], reps[col], s[row, col]))
-        a, b, c = (np.concatenate(z) for z in zip(*out))
-        return pa.table({"query": a, "rep": b, "score": c})
+        return _best(want.column("id").to_numpy(), _matrix(want.column("v")), have.column("id").to_numpy(), _matrix(have.column("v")), k)
 
     met = posted.groupBy(*cells, "block").cogroup(visits.groupBy(*cells, "block")).applyInArrow(meet, "query long, rep long, score double")
-    best = met.groupBy("query", "rep").agg(F.max("score").alias("rough"))
-    order = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("rough"), "rep"))
-    best = best.withColumn("nth", order).where(F.col("nth") <= 2 * k + 2).drop("nth", "rough")
-    # Exact ranking of what is left, on the original vectors.
-    q = asked.select(F.col("id").alias("query"), F.col("v").alias("qv")).distinct()
-    dot = F.aggregate(F.zip_with("qv", "v", lambda a, b: a * b), F.lit(0.0), lambda acc, x: acc + x)
-    exact = best.join(q, "query").join(base.select("rep", "v", "ids"), "rep").select("query", dot.alias("score"), F.explode("ids").alias("vec_id")).where("query <> vec_id")
-    rank = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "vec_id"))
-    return exact.withColumn("rank", rank).where(F.col("rank") <= k).select(F.col("query").alias("query_id"), F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+    return _exact(met, asked, base, k).select(F.col("query").alias("query_id"), F.col("rank").cast("int").alias("rank"), "vec_id", "score")

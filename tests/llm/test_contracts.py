@@ -106,6 +106,18 @@ def test_ann_recall_of_an_index_with_many_cells(spark):
     assert hits >= 0.9 * 300
 
 
+def test_ann_recall_when_cells_are_far_too_small(spark):
+    """As many hashes as millions of vectors would call for: visits and hashes follow from measured recall."""
+    from lossband.llm.ann import nearest
+
+    rng = np.random.default_rng(4)
+    x = rng.standard_normal((3000, 64))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = nearest(df, df.where("vec_id % 20 = 0"), k=10, bits=12).toPandas()
+    hits = sum(len(set(np.argsort(-np.where(np.arange(3000) == i, -np.inf, x @ x[i]))[:10]) & set(p["vec_id"])) for i, p in got.groupby("query_id"))
+    assert hits >= 0.9 * 1500
+
+
 def test_licenses(spark, q, docs):
     got = rows(q["op6_licenses"](spark, SF))
     assert len(got) == len(docs)
