@@ -108,12 +108,21 @@ def spearman_sizes(spark, sf):
 
 
 def _gradient_rows(spark, sf):
-    rows = th.last_features(grid(spark, sf, S.name), 3, S.context, 4).where(F.col("origin") % 10 == 0)
+    rows = th.last_features(grid(spark, sf, S.name), 3, S.context, 4)
     x = F.col("x")
     last = F.array(*(x[1] for _ in range(4)))
     return th.window_gradient(th.residuals(rows, last), x)
 
 
+def _tenth(spark, sf):
+    """Every tenth origin, as the SQL of the queries over it has it."""
+    return _gradient_rows(spark, sf).where(F.col("origin") % 10 == 0)
+
+
+#: The bounds over windows; each is a query over every window (name_all) and one over a tenth with SQL beside it.
+CHECKS = {"gradient_identity": th.gradient_bounds, "gradient_bound_rank1": lambda rows: th.rank_one_bounds(rows, F.array(*(F.lit(float(v)) for v in (1, 2, 3, 4)))), "self_bounding": th.self_bound}
+
+
 def _ok(rows):
     return rows.agg(F.count("*").alias("windows"), F.count_if(~F.col("ok")).alias("violations"))
 
@@ -189,9 +198,8 @@ QUERIES = {
     "spearman_matrix": spearman_sizes,
     "margins_table": margins_table,
     "published_central_counts": central_counts,
-    "gradient_identity": lambda s, d: _ok(th.gradient_bounds(_gradient_rows(s, d))),
-    "gradient_bound_rank1": lambda s, d: _ok(th.rank_one_bounds(_gradient_rows(s, d), F.array(*(F.lit(float(v)) for v in (1, 2, 3, 4))))),
-    "self_bounding": lambda s, d: _ok(th.self_bound(_gradient_rows(s, d))),
+    **{k: (lambda s, d, f=f: _ok(f(_tenth(s, d)))) for k, f in CHECKS.items()},
+    **{f"{k}_all": (lambda s, d, f=f: _ok(f(_gradient_rows(s, d)))) for k, f in CHECKS.items()},
     "gradient_alignment": gradient_alignment,
     "alignment_by_rank": alignment_by_rank,
     "rfl_decile_profile": lambda s, d: mt.rounded(th.by_decile(naive(s, d, S.name), "rfl"), 6, "mean"),

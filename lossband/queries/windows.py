@@ -20,9 +20,10 @@ def _keys(spark, sf, held_out=True):
     return w.window_keys(_lengths(spark, sf), C, H, held_out=held_out)
 
 
-def window_arrays_small(spark, sf):
+def window_arrays(spark, sf, stride=1):
+    """Sums over the arrays of every window, or of those that the SQL of window_arrays_small has."""
     cells = grid(spark, sf)
-    keys = w.window_keys(w.lengths(cells), C, H).where("origin % 100 = 0")
+    keys = w.window_keys(w.lengths(cells), C, H, stride=stride)
     rows = w.materialize(g.pack(cells, 256, C + H - 1), keys, C, H, 256)
     plus = lambda a: F.aggregate(F.transform(a, lambda x: F.coalesce(x, F.lit(0.0))), F.lit(0.0), lambda s, x: s + x)
     return rows.select("source", "series_id", "origin", plus("context").cast("long").alias("context_sum"), plus("future").cast("long").alias("future_sum"), F.aggregate("mask", F.lit(0), lambda s, x: s + x.cast("int")).cast("long").alias("m"))
@@ -40,10 +41,11 @@ def decontaminate_series(spark, sf):
     return w.decontaminate_series(tasks, keys)
 
 
-def decontaminate_interval(spark, sf):
+def decontaminate_interval(spark, sf, stride=1):
+    """Tasks that no training window touches: all training windows, or those that the SQL of decontaminate_interval has."""
     series = _lengths(spark, sf)
     tasks = series.select("source", "series_id", F.explode(F.array(*(F.struct(F.lit(a).cast("long").alias("lo"), F.lit(a + 9).cast("long").alias("hi")) for a in range(0, 720, 40)))).alias("x")).select("source", "series_id", "x.*")
-    train = w.window_keys(series, C, H, held_out=True).where("origin % 90 = 0")
+    train = w.window_keys(series, C, H, stride=stride, held_out=True)
     return w.decontaminate_interval(tasks, train, C + H)
 
 
@@ -68,12 +70,14 @@ QUERIES = {f"grid_{k}": (lambda s, d, k=k: g.build(s, d, k)) for k in g.CORPORA}
     "user_sequence": g.user_sequence,
     "window_keys_events": lambda s, d: _keys(s, d, False),
     "window_keys_stride": lambda s, d: w.window_keys(_lengths(s, d), C, H, stride=24),
-    "window_arrays_small": window_arrays_small,
+    "window_arrays_small": lambda s, d: window_arrays(s, d, 100),
+    "window_arrays_all": window_arrays,
     "window_overlap": lambda s, d: w.overlap_report(w.window_keys(_lengths(s, d), C, H, stride=10), C, H),
     "window_short_context": lambda s, d: w.short_context_keys(_lengths(s, d), 8, C, H, 3),
     "holdout_split": holdout_split,
     "decontaminate_series": decontaminate_series,
-    "decontaminate_interval": decontaminate_interval,
+    "decontaminate_interval": lambda s, d: decontaminate_interval(s, d, 90),
+    "decontaminate_interval_all": decontaminate_interval,
     "impute_ffill": impute_ffill,
     "scale_context_std": scale_context_std,
     "pack_roundtrip": pack_roundtrip,
