@@ -15,6 +15,7 @@ table gives no rows; further columns are not read.
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -29,7 +30,7 @@ NEAR = 40
 class Kind:
     name: str
     pattern: str
-    needs: str  # a text without this pattern's cheap sign has no match
+    needs: str | re.Pattern  # a text without this cheap sign has no match; empty for the sign of long numbers
     check: object  # Column of the match -> Column of boolean
     score: float
     context: str  # lower-case words
@@ -71,7 +72,7 @@ KINDS = (
     Kind("phone", r"\+[0-9][\x20().0-9-]+[0-9]", "+", lambda m: _count(m, 10, 15), 0.7, r"\b(phone|tel|call|mobile|fax)\b", base=True),
     Kind("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]{4}){2,7}+(?:\x20?[A-Z0-9]{1,3})?+(?![A-Za-z0-9])", "", _mod97, 0.8, r"\b(iban|account|bank|konto)\b"),
     Kind("national_id", r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])", "-", lambda m: ~m.rlike("^(000|666|9)|-00-|-0000$"), 0.3, r"\b(ssn|social security)\b"),
-    Kind("local_phone", r"(?<![0-9+)(-])(?<!\+[0-9]{1,3}\x20)\(?[0-9]{3}\)?[\x20.-][0-9]{3}[.-][0-9]{4}(?![0-9.-])", "-", lambda m: _count(m, 10, 10), 0.3, r"\b(phone|tel|telephone|call|mobile|fax)\b"),
+    Kind("local_phone", r"(?<![0-9+)(-])(?<!\+[0-9]{1,3}\x20)\(?[0-9]{3}\)?[\x20.-][0-9]{3}[.-][0-9]{4}(?![0-9.-])", re.compile("[0-9]{3}[.-][0-9]{4}"), lambda m: _count(m, 10, 10), 0.3, r"\b(phone|tel|telephone|call|mobile|fax)\b"),
 )
 
 
@@ -94,7 +95,8 @@ def _spans(text: Column, k: int, kind: Kind) -> Column:
     out = F.transform(good, scored)
     if not kind.base:
         out = F.filter(out, lambda s: s["score"] >= THRESHOLD)
-    sign = F.contains(text, F.lit(kind.needs)) if kind.needs else text.rlike("[0-9]{2}|[0-9][ -][0-9]")
+    needs = kind.needs or re.compile("[0-9]{2}|[0-9][ -][0-9]")
+    sign = F.contains(text, F.lit(needs)) if isinstance(needs, str) else text.rlike(needs.pattern)
     none = F.array().cast("array<struct<start:int,k:int,end:int,kind:string,score:double>>")
     return F.coalesce(F.when(sign, out), none)
 

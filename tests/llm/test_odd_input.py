@@ -48,6 +48,15 @@ def test_pii_patterns(spark):
     assert {"iban", "national_id", "local_phone"} <= set(kinds)
 
 
+def test_pii_numbers_with_dots(spark):
+    """The cheap sign of a kind lets every match of its pattern through, hyphen or not."""
+    from lossband.llm import pii
+
+    texts = ["call 555.123.4567", "tel (555) 123.4567 now", "call 555 123-4567", "555.123.4567 alone"]
+    got = {r["doc_id"]: r["spans"] for r in pii.find(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [[(s["start"], s["end"], s["kind"]) for s in got[i]] for i in range(4)] == [[(5, 17, "local_phone")], [(4, 18, "local_phone")], [(5, 17, "local_phone")], []]
+
+
 def test_quality(docs, none, spark):
     from lossband.llm import quality
 
