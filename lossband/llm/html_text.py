@@ -48,7 +48,7 @@ NOISE_NAMES = frozenset(
 MAIN_TAGS = frozenset(("article", "main"))
 
 _TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*+(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>"']++|"[^"]*+"|'[^']*+')*+)(?:>|\Z)""", re.S)
-_ATTR = re.compile(r"""\b(class|id|role|hidden)\b(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.I)
+_ATTR = re.compile(r"""([^\s"'>/=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 _NAME = re.compile(r"[a-z]+")
 _SPACE = re.compile(r"\s+")
 #: An open element of the first kind ends where a tag of the second begins.
@@ -57,7 +57,7 @@ _CLOSE = {k: re.compile(rf"</{k}\s*>", re.I) for k in RAW}
 
 
 class Node:
-    __slots__ = ("tag", "label", "kids", "noise", "main")
+    __slots__ = ("tag", "label", "kids", "noise", "named", "main")
 
     def __init__(self, tag: str, attrs: str):
         self.tag, self.kids = tag, []
@@ -69,13 +69,16 @@ class Node:
                     role = value.lower()
                 elif name == "hidden":
                     hidden = True
-                else:
+                elif name in ("class", "id"):
                     label += ("." if name == "class" else "#") + value
-                    names += _NAME.findall(value.lower())
+                    # A name speaks by its last word: "main-nav" is navigation, "nav-less" is not.
+                    names += [words[-1] for words in map(_NAME.findall, value.lower().split()) if words]
         self.label = label
         self.main = tag in MAIN_TAGS or role == "main"
         # A page-wide <header> is noise; one inside an article holds its title.
-        self.noise = tag in NOISE_TAGS or hidden or role in NOISE_ROLES or (tag not in ("html", "body", *MAIN_TAGS) and not NOISE_NAMES.isdisjoint(names))
+        self.noise = tag in NOISE_TAGS or hidden or role in NOISE_ROLES
+        #: Noise by its names alone.
+        self.named = not self.noise and tag not in ("html", "body", *MAIN_TAGS) and not NOISE_NAMES.isdisjoint(names)
 
 
 def parse(text: str) -> Node:
@@ -114,9 +117,25 @@ def parse(text: str) -> Node:
             at = end.end() if end else size
         elif tag not in VOID and not m[3].endswith("/"):
             stack.append(node)
+    _judge_names(root)
     return root
 
 
+def _judge_names(root: Node) -> None:
+    """Names make noise of a branch unless it holds the article, or stands in the article and holds its heading."""
+    todo, seen = [(root, -1, False)], []
+    while todo:
+        node, above, inside = todo.pop()
+        seen.append([node, above, inside, node.main and not node.noise, node.tag == "h1"])
+        todo += [(x, len(seen) - 1, inside or node.main) for x in node.kids if isinstance(x, Node)]
+    for node, above, inside, main, title in reversed(seen):
+        if node.named and not main and not (inside and title):
+            node.noise = True
+        if above >= 0 and not node.noise:
+            seen[above][3] |= main
+            seen[above][4] |= title
+
+
 def _walk(root: Node):
     """(node, path, in article) of every element outside noise, parents first; no recursion, for deep pages."""
     todo = [(root, "", False)]

@@ -275,6 +275,14 @@ def test_html(spark):
     assert abs(h.importance([1] * 8, 8) - 1) < 1e-12 and h.importance([8], 8) == 0
 
 
+def test_html_names_that_only_look_like_noise():
+    from lossband.llm.html_text import main_text
+
+    page = """<body><div class="layout with-sidebar"><div class="main-nav">menu</div><article style="overflow:hidden"><div class="entry-header"><h1>Title</h1></div>
+        <p aria-hidden="false">One <a href="/hidden-gems">gem</a></p><p data-id="promo" data-class="ad">Two</p><p hidden>no</p><div class="share">no</div></article></div></body>"""
+    assert main_text(page) == "Title\nOne gem\nTwo"
+
+
 def test_stages(docs, none, spark):
     """Every stage keeps the columns it is given, whatever their names, and takes empty tables."""
     import corpus_pipeline as p
