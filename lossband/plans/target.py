@@ -14,6 +14,8 @@ from ..sources.tables import ship
 from .theory import last_features
 
 KEY = ["source", "series_id", "origin"]
+#: Windows that the driver holds at once while it trains.
+DRAW = 200_000
 
 
 @dataclass(frozen=True)
@@ -67,35 +69,71 @@ def fit_ridge(rows: DataFrame, lags: int, horizon: int, ridge: float = 1.0) -> n
     return np.linalg.solve(a[:, :n] + ridge * np.eye(n), a[:, n:])
 
 
+def _batches(rows: DataFrame, seed: int, batch: int, need: int):
+    """Batches (x, y, m) in the seeded order of windows, over and over; at most ``DRAW`` windows are fetched at once."""
+    at = F.struct(F.xxhash64(*KEY, F.lit(seed)).alias("h"), *KEY)
+    ordered = rows.select(at.alias("at"), "x", "future", "mask")
+    kinds = dict(rows.select(*KEY).dtypes)
+    left, last, only = None, None, None
+    while True:
+        if only is None:
+            after = ordered if last is None else ordered.where(F.col("at") > F.struct(F.lit(last["h"]).alias("h"), *(F.lit(last[c]).cast(kinds[c]).alias(c) for c in KEY)))
+            part = after.orderBy("at").limit(min(need, DRAW)).collect()
+            if not part and last is None:
+                return
+            if last is None and (len(part) < DRAW or need <= DRAW):
+                only = part
+            last = part[-1]["at"] if len(part) == DRAW else None
+        else:
+            part = only
+        if not part:
+            continue
+        arrays = [np.array([r[c] for r in part], float) for c in ("x", "future", "mask")]
+        left = arrays if left is None else [np.concatenate(z) for z in zip(left, arrays)]
+        while len(left[0]) >= batch:
+            yield [z[:batch] for z in left]
+            left = [z[batch:] for z in left]
+
+
+def _losses(rows: DataFrame, weights: list[np.ndarray]) -> list[float]:
+    """Mean squared error over all observed slots of ``rows``, for each of the weights, in one pass."""
+    ship(rows.sparkSession)
+
+    def work(batches):
+        out, n = np.zeros(len(weights)), 0.0
+        for b in batches:
+            if len(b):
+                x, y, m = (np.stack(b[c].to_numpy()).astype(float) for c in ("x", "future", "mask"))
+                out += [(((x @ w - y) * m) ** 2).sum() for w in weights]
+                n += m.sum()
+        yield pd.DataFrame({"i": np.arange(len(weights)), "v": out, "n": n})
+
+    sums = rows.select("x", "future", "mask").mapInPandas(work, "i int, v double, n double").groupBy("i").agg(F.sum("v").alias("v"), F.sum("n").alias("n")).collect()
+    return [r["v"] / max(r["n"], 1) for r in sorted(sums, key=lambda r: r["i"])]
+
+
 def fit_sgd(rows: DataFrame, lags: int, horizon: int, spec: TrainSpec, validation: DataFrame | None = None, every: int = 10):
     """AdamW on batches of the seeded order of windows; returns weights and [(step, loss of the validation rows)].
 
-    The batches of the whole run are ``steps * batch`` rows at most, drawn once by hash; gradients are sums
-    over a batch. Batch and parameters are the driver's only state.
+    The batches of the run are windows in the order of a hash, fetched in blocks; gradients are sums over a
+    batch. The validation loss is over all rows of ``validation``.
     """
     rng = np.random.default_rng(spec.seed)
     n = lags + 1
     w = rng.standard_normal((n, horizon)) * 0.01
-    need = spec.steps * spec.batch
-    drawn = rows.orderBy(F.xxhash64(*KEY, F.lit(spec.seed))).limit(min(need, 200_000)).select("x", "future", "mask").toPandas()
-    if not len(drawn):
-        return w, []
-    x, y, m = (np.stack(drawn[c].to_numpy()).astype(float) for c in ("x", "future", "mask"))
-    held = validation.select("x", "future", "mask").limit(50_000).toPandas() if validation is not None else None
-    if held is not None and len(held):
-        vx, vy, vm = (np.stack(held[c].to_numpy()).astype(float) for c in ("x", "future", "mask"))
-    first, second, curve = np.zeros_like(w), np.zeros_like(w), []
-    for step in range(spec.steps):
-        at = np.arange(step * spec.batch, (step + 1) * spec.batch) % len(x)
-        r = (x[at] @ w - y[at]) * m[at]
-        g = x[at].T @ (r / np.maximum(m[at].sum(1, keepdims=True), 1)) / len(at)
+    first, second, logged = np.zeros_like(w), np.zeros_like(w), []
+    for step, (x, y, m) in zip(range(spec.steps), _batches(rows, spec.seed, spec.batch, spec.steps * spec.batch)):
+        r = (x @ w - y) * m
+        g = x.T @ (r / np.maximum(m.sum(1, keepdims=True), 1)) / len(x)
         g *= min(1.0, spec.clip / max(float(np.linalg.norm(g)), 1e-12))
         first, second = 0.9 * first + 0.1 * g, 0.999 * second + 0.001 * g * g
         lr = spec.rate_at(step)
         w = w - lr * (first / (1 - 0.9 ** (step + 1)) / (np.sqrt(second / (1 - 0.999 ** (step + 1))) + 1e-8) + spec.decay * w)
-        if held is not None and len(held) and ((step + 1) % every == 0 or step == 0):
-            curve.append((step + 1, float((((vx @ w - vy) * vm) ** 2).sum() / max(vm.sum(), 1))))
-    return w, curve
+        if (step + 1) % every == 0 or step == 0:
+            logged.append((step + 1, w))
+    if validation is None or not logged or validation.isEmpty():
+        return w, []
+    return w, list(zip([n for n, _ in logged], _losses(validation, [v for _, v in logged])))
 
 
 def forecast_errors(rows: DataFrame, w: np.ndarray) -> DataFrame:

@@ -48,3 +48,18 @@ def test_tasks_that_no_training_window_touches(spark, q):
     series = q["grid_events_hourly"](spark, SF).select("source", "series_id").distinct().count()
     got = q["decontaminate_interval_all"](spark, SF).collect()
     assert {r["lo"] for r in got} <= set(range(696, 720)) and len(got) == series * sum(lo > 695 for lo in range(0, 720, 40))
+
+
+def test_training_sees_all_windows_and_all_validation_rows(spark, monkeypatch):
+    import numpy as np
+
+    from lossband.plans import target as tg
+
+    rows = spark.range(0, 60_000, 1, 4).selectExpr("'a' as source", "'b' as series_id", "id as origin", "array(1.0D, id % 7) as x", "array(id / 1000.0D) as future", "array(1) as mask")
+    spec = tg.TrainSpec(steps=10, batch=64)
+    w, curve = tg.fit_sgd(rows.where("origin < 300"), 1, 1, spec, rows)
+    i = np.arange(60_000)
+    assert abs(curve[-1][1] / np.mean((w[0, 0] + w[1, 0] * (i % 7) - i / 1000) ** 2) - 1) < 1e-9
+    monkeypatch.setattr(tg, "DRAW", 100)
+    again, _ = tg.fit_sgd(rows.where("origin < 300"), 1, 1, spec)
+    assert np.allclose(w, again)
