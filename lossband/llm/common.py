@@ -60,7 +60,7 @@ class Scratch:
     def __init__(self, spark: SparkSession, label: str):
         self.spark = spark
         self.root = f"{shared_dir(spark).rstrip('/')}/lossband-tables/{label}-{uuid.uuid4().hex[:12]}"
-        self.paths: dict[int, str] = {}
+        self.paths: dict[int, tuple[DataFrame, str]] = {}
         self.n = 0
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
@@ -68,11 +68,16 @@ class Scratch:
         path = f"{self.root}/{self.n:02d}-{name}"
         df.write.mode("overwrite").parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
-        self.paths[id(out)] = path
+        self.paths[id(out)] = (out, path)  # the table is held, so that its id stays its own
         return out
 
     def drop(self, df: DataFrame) -> None:
-        self._delete(self.paths.pop(id(df), None))
+        self._delete(self.paths.pop(id(df), (None, None))[1])
+
+    def drop_all_but(self, *tables: DataFrame) -> None:
+        """Of the tables that still stand, those that no result reads go."""
+        for key in set(self.paths) - {id(t) for t in tables}:
+            self._delete(self.paths.pop(key)[1])
 
     def clear(self) -> None:
         self._delete(self.root)

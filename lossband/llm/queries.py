@@ -86,7 +86,7 @@ def op8_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_near(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_dedup.near_dedup(table(spark, sf_dir, "documents"), size=3, percent=85)
+    return near_dedup.near_dedup(table(spark, sf_dir, "documents"), size=3, percent=85).drop("text_key")
 
 
 def op10_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

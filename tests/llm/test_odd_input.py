@@ -188,6 +188,65 @@ def test_near_group_with_chains(spark):
         assert got == want
 
 
+def _near(spark, docs, size, percent):
+    from lossband.llm.near_dedup import near_dedup
+
+    return [(r["doc_id"], r["n_shingles"], r["component_id"], r["kept"]) for r in near_dedup(spark.createDataFrame(docs, "doc_id long, text string"), size=size, percent=percent).collect()]
+
+
+def test_near_misses_of_one_template(spark):
+    """Edits of one text, most of them too far from it and from one another; a few pairs share their edits and are linked."""
+    import random
+
+    rng, base, docs = random.Random(8), [f"b{i}" for i in range(150)], []
+    edits = {}
+    for i in range(400):
+        words = list(base)
+        if i % 10 == 9:  # shares all but one edit with an earlier text
+            words = list(edits[rng.randrange(i // 10 * 10, i)])
+            words[rng.randrange(150)] = f"z{i}"
+        else:
+            for j in range(rng.randrange(1, 14)):
+                words[rng.randrange(150)] = f"x{i}_{j}"
+            if i % 3 == 0:
+                words = words[rng.randrange(20) :] + [f"y{i}_{j}" for j in range(rng.randrange(30))]
+        edits[i] = words
+        docs.append((i, " ".join(words)))
+    rng.shuffle(docs)
+    for size, percent in ((3, 85), (5, 80)):
+        want = brute.near_components(docs, size, percent)
+        assert {i: (n, c) for i, n, c, _ in _near(spark, docs, size, percent)} == want
+        assert 5 < len({c for _, c in want.values()}) < 400
+
+
+def test_near_pairs_far_from_their_representatives(spark):
+    """Pairs of near copies whose lists name a long text that they share a third with."""
+    import random
+
+    rng, docs = random.Random(9), []
+    common = [f"c{i}" for i in range(120)]
+    for i in range(60):
+        own = [f"o{i}_{j}" for j in range(rng.randrange(60, 260))]
+        words = common[: rng.randrange(40, 120)] + own
+        docs.append((2 * i, " ".join(words)))
+        words = list(words)
+        for _ in range(rng.randrange(0, 5)):
+            words[rng.randrange(len(words))] = f"n{i}_{rng.randrange(99)}"
+        docs.append((2 * i + 1, " ".join(words)))
+    docs += [(1000 + i, " ".join(common + [f"e{i}_{j}" for j in range(3 * i)])) for i in range(20)]
+    for size, percent in ((3, 85), (5, 80), (2, 60)):
+        assert {i: (n, c) for i, n, c, _ in _near(spark, docs, size, percent)} == brute.near_components(docs, size, percent)
+
+
+def test_near_ids_that_repeat(spark):
+    """An id with two texts is one document: what is like either of them joins it, in whatever order the rows come."""
+    a, b = [f"a{i}" for i in range(100)], [f"b{i}" for i in range(100)]
+    rows = [(5, " ".join(a)), (5, " ".join(b)), (7, " ".join([*b[:-1], "x"])), (9, " ".join([*a[:-1], "y"])), (5, " ".join(a)), (11, "else")]
+    for order in (rows, rows[::-1]):
+        got = _near(spark, order, 5, 80)
+        assert {(i, c) for i, _, c, _ in got} == {(5, 5), (7, 5), (9, 5), (11, 11)} and len(got) == 6
+
+
 def test_mixing(docs, none):
     from lossband.llm import mixing
 
