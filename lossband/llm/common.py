@@ -9,7 +9,7 @@ import zipfile
 from pathlib import Path
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: The characters that separate words: space, tab, line feed, vertical tab, form feed, carriage return.
@@ -23,6 +23,8 @@ def shared_dir(spark: SparkSession) -> str:
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
     if found:
         return found
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir: driver and executors need a folder that they share")
     own = os.path.join("/tmp/checkpoints", f"lossband-{spark.sparkContext.applicationId}")
     os.makedirs(own, exist_ok=True)
     return f"file://{own}"
@@ -54,14 +56,18 @@ def slices(batches, rows: int = 100):
 class Scratch:
     """Tables written to the shared folder, so that a lost executor costs no lineage.
 
-    A table that a later one replaces can be dropped; those that a result reads stay until ``clear``.
+    A table that a later one replaces can be dropped; those that a result reads stay until ``clear``, or
+    ``clear_all`` once everything that was built so far has been read.
     """
 
+    made: list[Scratch] = []
+
     def __init__(self, spark: SparkSession, label: str):
         self.spark = spark
         self.root = f"{shared_dir(spark).rstrip('/')}/lossband-tables/{label}-{uuid.uuid4().hex[:12]}"
         self.paths: dict[int, tuple[DataFrame, str]] = {}
         self.n = 0
+        Scratch.made.append(self)
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
         self.n += 1
@@ -82,6 +88,12 @@ class Scratch:
     def clear(self) -> None:
         self._delete(self.root)
 
+    @classmethod
+    def clear_all(cls) -> None:
+        """Delete all tables of this process; results not yet written or collected lose what they read."""
+        while cls.made:
+            cls.made.pop().clear()
+
     def _delete(self, path: str | None) -> None:
         if path:
             jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
@@ -89,6 +101,11 @@ class Scratch:
             where.getFileSystem(conf).delete(where, True)
 
 
+def text_key(text: Column) -> Column:
+    """What tells the texts of rows with the same id apart."""
+    return F.xxhash64(text)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

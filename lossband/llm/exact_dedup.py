@@ -1,9 +1,11 @@
-"""Exact duplicates by a minimal perfect hash over the digests that occur before.
+"""Exact duplicates by a minimal perfect hash over historical distinct digests.
 
-The digests seen more than once (or those of a given history) are split into shards by their first
-bytes. Each shard becomes one row: the bit arrays of a minimal perfect hash, and slots that hold the
-full digest, the winner's id and the number of rows. Documents travel as (id, digest) to their shard,
-find a slot and compare all 32 bytes; those that are no members are grouped apart from it.
+History is a table of its own, or, of one table, the upper half of its ids: where the largest id of a group
+stays, no row below can win against them. Its distinct digests are split into shards by their bytes. Each
+shard becomes one row: the bit arrays of a minimal perfect hash, and slots that hold the full digest, the
+winner's id and the number of rows. Documents travel as (id, digest) to their shard, find a slot and compare
+all 32 bytes: members are repeats of what the slot names. Those that are no members are grouped among
+themselves.
 
 Results on odd input: null text is empty text; a row without an id counts in its group and wins only
 when no row has an id; rows that repeat an id and a text all carry the winning id; an empty table gives
@@ -20,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, ship, slices
+from .common import Scratch, ship, slices, text_key
 
 #: Rows of a lookup group and digests of a shard that are aimed at.
 ROWS = 50_000
@@ -37,15 +39,15 @@ def normal(text: bytes | None) -> bytes:
 def _digest(batches):
     for b in slices(batches):
         yield pa.RecordBatch.from_arrays(
-            [b.column(0), pa.array([hashlib.sha256(normal(t)).digest() for t in b.column(1).to_pylist()], pa.binary())], ["doc_id", "digest"]
+            [b.column(0), b.column(1), pa.array([hashlib.sha256(normal(t)).digest() for t in b.column(2).to_pylist()], pa.binary())], ["doc_id", "text_key", "digest"]
         )
 
 
 def digests(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, digest) of every row."""
+    """(doc_id, text_key, digest) of every row; the key tells the texts of rows with one id and digest apart."""
     ship(docs.sparkSession)
-    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("t"))
-    return rows.mapInArrow(_digest, "doc_id long, digest binary")
+    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_key(F.col(text)).alias("text_key"), F.col(text).cast("binary").alias("t"))
+    return rows.mapInArrow(_digest, "doc_id long, text_key long, digest binary")
 
 
 # ---- the minimal perfect hash of one shard -------------------------------------------------------
@@ -122,7 +124,7 @@ def _lookup(key, rows, index):
         hit = at >= 0
         winner[hit] = np.frombuffer(index.column("winners")[0].as_py(), "<i8")[at[hit]]
         count[hit] = np.frombuffer(index.column("counts")[0].as_py(), "<i8")[at[hit]]
-    return pa.table({"doc_id": rows.column("doc_id"), "digest": rows.column("digest"), "hit": pa.array(hit), "winner": pa.array(winner, pa.int64(), mask=winner == NO_ID), "n": pa.array(count)})
+    return pa.table({"doc_id": rows.column("doc_id"), "text_key": rows.column("text_key"), "digest": rows.column("digest"), "hit": pa.array(hit), "winner": pa.array(winner, pa.int64(), mask=winner == NO_ID), "n": pa.array(count)})
 
 
 # ---- the operator --------------------------------------------------------------------------------
@@ -144,34 +146,40 @@ def build_index(scratch: Scratch, seen: DataFrame, shards: int) -> DataFrame:
 
 
 def look_up(rows: DataFrame, index: DataFrame, shards: int, total: int) -> DataFrame:
-    """(doc_id, digest, hit, winner, n); a shard with many rows is looked up in several copies."""
+    """(doc_id, text_key, digest, hit, winner, n); a shard with many rows is looked up in several copies."""
     rows = rows.withColumn("shard", _shard(shards))
     aim = max(2_000, min(ROWS, total // shards))
     parts = rows.groupBy("shard").count().select("shard", F.ceil(F.col("count") / aim).cast("int").alias("parts"))  # at most one row a shard
     rows = rows.join(F.broadcast(parts), "shard").withColumn("part", F.pmod(F.xxhash64("doc_id", "shard"), F.col("parts")).cast("int"))
     index = index.join(F.broadcast(parts), "shard").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
-    return rows.drop("parts").groupBy("shard", "part").cogroup(index.groupBy("shard", "part")).applyInArrow(_lookup, "doc_id long, digest binary, hit boolean, winner long, n long")
+    return rows.drop("parts").groupBy("shard", "part").cogroup(index.groupBy("shard", "part")).applyInArrow(_lookup, "doc_id long, text_key long, digest binary, hit boolean, winner long, n long")
 
 
 def exact_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", history: DataFrame | None = None) -> DataFrame:
-    """(doc_id, keep_id, group_size, kept, digest) for every row of ``docs``.
+    """(doc_id, keep_id, group_size, kept, digest, text_key) for every row of ``docs``.
 
-    Without ``history`` the index holds every digest that ``docs`` itself repeats, so that a nonmember is
-    unique. With ``history`` (same columns) its rows win over those of ``docs``; texts that it lacks are
-    grouped among themselves. The largest id of a group stays.
+    The largest id of a group stays. With ``history`` (same columns) its rows win over those of ``docs``, and
+    none of ``docs`` that they contain is kept; group sizes count the rows of both.
     """
     scratch = Scratch(docs.sparkSession, "exact")
     rows = scratch.keep(digests(docs, doc_id, text), "digests")
-    seen = _grouped(rows).where("n > 1") if history is None else _grouped(digests(history, doc_id, text))
-    seen = scratch.keep(seen, "seen")
-    shards, total = max(16, math.ceil(seen.count() / ROWS)), rows.count()
-    found = look_up(rows, build_index(scratch, seen, shards), shards, total)
     if history is None:
-        winner, n = F.when(F.col("hit"), F.col("winner")).otherwise(F.col("doc_id")), F.when(F.col("hit"), F.col("n")).otherwise(F.lit(1))
-        return found.select("doc_id", winner.alias("keep_id"), n.cast("long").alias("group_size"), F.col("doc_id").eqNullSafe(winner).alias("kept"), "digest")
-    found = scratch.keep(found, "found")
-    old = found.where("hit").select("doc_id", F.col("winner").alias("keep_id"), F.col("n").alias("group_size"), F.lit(False).alias("kept"), "digest")
-    fresh = found.where("not hit").select("doc_id", "digest")
-    own = _grouped(fresh).select("digest", F.expr(f"nullif(winner, {NO_ID}L)").alias("keep_id"), F.col("n").alias("group_size"))
-    new = fresh.join(own, "digest").select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "digest")
-    return old.union(new)
+        # Any cut gives the same rows; half of the ids balances the index and what is looked up.
+        cut, total = rows.agg(F.percentile_approx("doc_id", 0.5), F.count("*")).first()
+        late = F.coalesce(F.col("doc_id") >= F.lit(cut).cast("long"), F.lit(False))
+        seen = _grouped(rows.where(late))
+    else:
+        late, total = F.lit(False), rows.count()
+        seen = _grouped(digests(history, doc_id, text))
+    seen = scratch.keep(seen, "seen")
+    shards = max(16, math.ceil(seen.count() / ROWS))
+    found = scratch.keep(look_up(rows, build_index(scratch, seen, shards), shards, total), "found")
+    # What the index does not count: members of it that are not of it, and groups of nonmembers.
+    fresh = found.where(~late).groupBy("digest", "hit").agg(F.count("*").alias("more"), F.max("doc_id").alias("own")).where("hit or more > 1")
+    sizes = scratch.keep(fresh.select("digest", "more", "own"), "sizes")
+    out = found.join(sizes, "digest", "left")
+    winner = F.when(F.col("hit"), F.col("winner")).otherwise(F.coalesce("own", "doc_id"))
+    size = F.when(F.col("hit"), F.col("n") + F.coalesce("more", F.lit(0))).otherwise(F.coalesce("more", F.lit(1)))
+    kept = F.col("doc_id").eqNullSafe(winner) if history is None else ~F.col("hit") & F.col("doc_id").eqNullSafe(winner)
+    scratch.drop_all_but(found, sizes)
+    return out.select("doc_id", winner.alias("keep_id"), size.cast("long").alias("group_size"), kept.alias("kept"), "digest", "text_key")

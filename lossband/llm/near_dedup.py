@@ -41,7 +41,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, connected_components, ship, slices
+from .common import Scratch, connected_components, ship, slices, text_key
 
 COORDINATES, MATCHES = 32, 16
 #: Similarity to a representative, in percent, from which a class counts as near.
@@ -223,13 +223,8 @@ def _one_document(usable: DataFrame, classes: DataFrame) -> DataFrame:
     return pairs.join(ids.select(F.col("id").alias("a"), F.col("mark").alias("lo")), "lo").join(ids.withColumnRenamed("id", "b"), "mark").select("a", "b")
 
 
-def text_key(text: Column) -> Column:
-    """What tells the texts of rows with the same id apart."""
-    return F.xxhash64(text)
-
-
 def near_dedup(docs: DataFrame, size: int = 5, percent: int = 80, matches: int | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept, text_key) of every row; links are sets with 100 * overlap >= percent * union."""
+    """(doc_id, n_shingles, component_id, kept, text_key, mark) of every row; ``mark`` is that of its set; links are sets with 100 * overlap >= percent * union."""
     spark = docs.sparkSession
     ship(spark)
     scratch = Scratch(spark, "near")
@@ -263,8 +258,8 @@ def near_dedup(docs: DataFrame, size: int = 5, percent: int = 80, matches: int |
     of = of.join(of.groupBy("component").agg(F.min("doc").alias("component_id")), "component").select("id", "component_id")
     groups = scratch.keep(classes.select("id", "mark", "doc").join(of, "id", "left").select("mark", F.coalesce("component_id", "doc").alias("component_id")), "groups")
     scratch.drop_all_but(signed, groups)
-    grouped = usable.join(groups, "mark", "left").select("doc", "key", "n", "component_id")
+    grouped = usable.join(groups, "mark", "left").select("doc", "key", "n", "component_id", "mark")
     # Rows without a set or an id would all meet in one task of that join, and need no partner.
-    alone = signed.where("n = 0 or doc is null").select("doc", "key", "n", F.col("doc").alias("component_id"))
+    alone = signed.where("n = 0 or doc is null").select("doc", "key", "n", F.col("doc").alias("component_id"), "mark")
     out = grouped.union(alone)
-    return out.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc") == F.col("component_id"), F.lit(True)).alias("kept"), F.col("key").alias("text_key"))
+    return out.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), "component_id", F.coalesce(F.col("doc") == F.col("component_id"), F.lit(True)).alias("kept"), F.col("key").alias("text_key"), "mark")

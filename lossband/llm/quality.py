@@ -18,6 +18,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from .common import ship, slices
 
@@ -145,20 +146,28 @@ def fit_on(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str
     return fit(np.stack(got["x"].to_numpy()), got["label"].to_numpy(float))
 
 
+def _quoted(name: str) -> str:
+    return "`" + name.replace("`", "``") + "`"
+
+
 def with_score(docs: DataFrame, forest: Forest, text: str = "text", score: str = "score", least: float | None = None) -> DataFrame:
-    """The columns of ``docs`` and a last one with the score; with ``least``, only rows that reach it, without the score."""
+    """The columns of ``docs`` and a last one with the score, which replaces one of its name; with ``least``, only rows that reach it, as they are."""
     ship(docs.sparkSession)
+    if least is None:
+        docs = docs.select(*(F.col(_quoted(c)) for c in docs.columns if c != score))
     names = docs.columns
     at = names.index(text)
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + ("" if least is not None else f", `{score}` double")
+    schema = StructType(docs.schema.fields + ([] if least is not None else [StructField(score, DoubleType())]))
 
     def work(batches):
         for b in slices(batches, 250):
             x = np.array([statistics(t.encode() if isinstance(t, str) else t) for t in b.column(at).to_pylist()])
             s = forest.score(x)
-            yield b.filter(pa.array(s >= least)) if least is not None else pa.RecordBatch.from_arrays([*b.columns, pa.array(s)], [*names, score])
+            out = pa.RecordBatch.from_arrays([*b.columns, *([pa.array(s)] if least is None else [])], schema.names)
+            yield out if least is None else out.filter(pa.array(s >= least))
 
-    return docs.mapInArrow(work, schema)
+    # Plain names on the way in, for any name may be among the columns.
+    return docs.toDF(*(f"c{i}" for i in range(len(names)))).mapInArrow(work, schema)
 
 
 def auc(score: pd.Series, label: pd.Series) -> float:

@@ -86,7 +86,7 @@ def op8_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_near(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_dedup.near_dedup(table(spark, sf_dir, "documents"), size=3, percent=85).drop("text_key")
+    return near_dedup.near_dedup(table(spark, sf_dir, "documents"), size=3, percent=85).drop("text_key", "mark")
 
 
 def op10_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -94,11 +94,9 @@ def op10_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def mixed(docs: DataFrame) -> DataFrame:
-    rows, by = mixing.mix(mixing.words(docs), share=Fraction(3, 2), weights=(5, 2, 1), most=2)
-    spark = docs.sparkSession
-    about = spark.createDataFrame([(s, n, float(t)) for s, (n, t) in by.items()], "source string, source_size long, target double")  # one row a source
+    rows, about = mixing.mix(mixing.words(docs), share=Fraction(3, 2), weights=(5, 2, 1), most=2)
     of = F.element_at("sources", 1)
-    return rows.withColumn("source", F.when(F.size("sources") > 0, of)).join(F.broadcast(about.withColumnRenamed("source", "s")), F.col("source").eqNullSafe(F.col("s")), "left").drop("s")
+    return rows.withColumn("one", of).join(about, F.col("one").eqNullSafe(F.col("source")), "left")
 
 
 QUERIES = {"op1_pii": op1_pii, "op2_urls": op2_urls, "op3_quality": op3_quality, "op4_bpe": op4_bpe, "op5_ann": op5_ann, "op6_licenses": op6_licenses, "op7_html": op7_html, "op8_exact": op8_exact, "op9_near": op9_near, "op10_mix": op10_mix}
