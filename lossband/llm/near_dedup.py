@@ -5,8 +5,8 @@ signature of COORDINATES minima and is posted under each (coordinate, value). Tw
 if they collide in MATCHES lists or more, so lists with one class are skipped, and so are classes with fewer
 than MATCHES coordinates in shared lists. The pairs of a group are never listed:
 
-1. Every list names its most shared class as representative. In one order of representatives, the most common
-   first, a class keeps the leading ones until fewer than MATCHES of its lists are left (a prefix): two classes
+1. Every list names as representative the class whose own lists hold most posts, which is the one in the middle
+   of a group. In one order of representatives, the one with most posts first, a class keeps the leading ones until fewer than MATCHES of its lists are left (a prefix): two classes
    that collide often enough then have the first representative of their common lists in both prefixes.
 2. Each class is compared with the representatives of its prefix on full sets. That gives links, components,
    and for each such pair what the two sets do not share. Lists that lie within one component are skipped from
@@ -161,18 +161,18 @@ def _with_sets(pairs: DataFrame, sets: DataFrame, a: str, b: str) -> DataFrame:
 
 
 def _several(posts: DataFrame, of: Column, matches: int) -> DataFrame:
-    """(id, token, ..., shared) of the lists that hold more than one ``of``, for ids with at least ``matches`` of them."""
-    spread = posts.groupBy("token").agg(F.min(of).alias("lo"), F.max(of).alias("hi")).where("lo <> hi").select("token")
+    """(id, token, ..., weight) of the lists that hold more than one ``of``, for ids with at least ``matches`` of them; the weight is the number of posts in an id's lists."""
+    spread = posts.groupBy("token").agg(F.min(of).alias("lo"), F.max(of).alias("hi"), F.count("*").alias("posts")).where("lo <> hi").select("token", "posts")
     left = posts.join(spread, "token")
-    return left.join(left.groupBy("id").agg(F.count("*").alias("shared")).where(F.col("shared") >= matches), "id")
+    of_id = left.groupBy("id").agg(F.count("*").alias("lists"), F.sum("posts").alias("weight")).where(F.col("lists") >= matches)
+    return left.drop("posts").join(of_id.drop("lists"), "id")
 
 
 def _prefixes(shared: DataFrame, matches: int) -> DataFrame:
     """(id, rep): the representatives of step 1 that each class is compared with."""
-    named = shared.groupBy("token").agg(F.max_by("id", F.struct("shared", -F.col("id"))).alias("rep"), F.count("*").alias("posts"))
-    common = named.groupBy("rep").agg(F.sum("posts").alias("weight"))
-    votes = shared.join(named.select("token", "rep"), "token").groupBy("id", "rep").agg(F.count("*").alias("votes")).join(common, "rep")
-    rest = F.sum("votes").over(Window.partitionBy("id").orderBy(F.desc("weight"), "rep").rowsBetween(Window.currentRow, Window.unboundedFollowing))
+    named = shared.groupBy("token").agg(F.max(F.struct("weight", (-F.col("id")).alias("less"))).alias("best")).select("token", F.col("best.weight").alias("first"), (-F.col("best.less")).alias("rep"))
+    votes = shared.join(named, "token").groupBy("id", "rep", "first").agg(F.count("*").alias("votes"))
+    rest = F.sum("votes").over(Window.partitionBy("id").orderBy(F.desc("first"), "rep").rowsBetween(Window.currentRow, Window.unboundedFollowing))
     return votes.withColumn("rest", rest).where((F.col("rest") >= matches) & (F.col("id") != F.col("rep"))).select("id", "rep")
 
 
