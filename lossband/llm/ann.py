@@ -11,7 +11,7 @@ the search: some of the queries are answered by brute force over all vectors, an
 tables would meet those answers are counted. Visits are raised, then hashes taken away, until the share met
 is large enough; a table without hashes is one cell, so the last resort is brute force for all queries.
 
-Cells are cut into blocks of bounded size, and a block meets the queries that visit its cell as one matrix
+The rows of a cell and the queries that visit it are cut into blocks of bounded size, which meet as one matrix
 product; only the best of a block leave it.
 
 Results on odd input: vectors that are null, empty, zero or hold null or non-finite components take no
@@ -235,9 +235,14 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, tables: int = 4
     posted = scratch.keep(base.select(F.col("rep").alias("id"), "v", "dim").mapInArrow(index, shape), "posted")
     cells = ["dim", "tab", "cell"]
     # Blocks of a cell: rows are dealt by hash, so that a cell of any size is met in bounded parts.
-    sizes = posted.groupBy(*cells).count().select(*cells, F.ceil(F.col("count") / BLOCK).cast("int").alias("blocks"))
-    posted = posted.join(sizes, cells).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).drop("blocks")
-    visits = asked.select("id", "v", "dim").mapInArrow(probe, shape).join(sizes, cells).withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).drop("blocks")
+    # Its queries are dealt likewise, and every block of rows meets every block of queries.
+    visits = scratch.keep(asked.select("id", "v", "dim").mapInArrow(probe, shape), "visits")
+    blocks_of = lambda rows, name: rows.groupBy(*cells).count().select(*cells, F.ceil(F.col("count") / BLOCK).cast("int").alias(name))
+    sizes = scratch.keep(blocks_of(posted, "blocks").join(blocks_of(visits, "asks"), cells), "cells")
+    dealt = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
+    each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    posted = posted.join(sizes, cells).withColumn("block", dealt("blocks")).withColumn("ask", each("asks")).drop("blocks", "asks")
+    visits = visits.join(sizes, cells).withColumn("ask", dealt("asks")).withColumn("block", each("blocks")).drop("blocks", "asks")
 
     def meet(key, have, want):
         empty = pa.table({"query": pa.array([], pa.int64()), "rep": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
@@ -245,5 +250,5 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, tables: int = 4
             return empty
         return _best(want.column("id").to_numpy(), _matrix(want.column("v")), have.column("id").to_numpy(), _matrix(have.column("v")), k)
 
-    met = posted.groupBy(*cells, "block").cogroup(visits.groupBy(*cells, "block")).applyInArrow(meet, "query long, rep long, score double")
+    met = posted.groupBy(*cells, "block", "ask").cogroup(visits.groupBy(*cells, "block", "ask")).applyInArrow(meet, "query long, rep long, score double")
     return _exact(met, asked, base, k).select(F.col("query").alias("query_id"), F.col("rank").cast("int").alias("rank"), "vec_id", "score")

@@ -4,12 +4,16 @@ Pages of one host are merged into one tree: an element is known by the path of t
 leads to it, its presentation by the sequence of its children, its content by the text below it. Over the
 host's pages both have an entropy, scaled to 0..1 by the number of pages; an element's importance is the
 larger of the two. Branches of low importance, which look and read alike on page after page, are removed
-from each page, as are branches that mark themselves as navigation, advert, form and the like. A branch
-that marks itself as the article is kept whole but for such parts.
+from each page, as are branches that mark themselves as navigation, advert, form and the like.
 
-First pass: one row per page and open element, summed by Spark before the shuffle, so a host with a third
-of all pages is no heavier than its distinct presentations. Second pass: each page with the paths that its
-host drops.
+Any host with two pages has a tree, and every branch is judged, in the article and around it. Pages with the
+same article count once, so that copies of an article do not look like a template; within the article one
+imagined page of another look stands against each branch, so that a line which two articles share is no
+template either, but one of seven is.
+
+First pass: one row per page and element path, with hashes made from the leaves up, so that nesting costs
+nothing; Spark counts them by host and path. Second pass: each page with those of its own paths that its host
+drops. No row holds more than one page.
 
 Results on odd input: null or empty html has empty text; pages without a host share the empty host; rows
 repeat as they come; unclosed, misnested and unknown tags are read as browsers would roughly do; an empty
@@ -22,16 +26,16 @@ import html
 import math
 import re
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import xxhash
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, ship, slices
 
 #: Below this importance a branch is dropped.
 LEAST_IMPORTANCE = 0.2
-#: A host with fewer pages says nothing about what repeats.
-LEAST_PAGES = 8
 
 #: Elements without an end, elements whose content is not markup, elements that begin a block.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -46,6 +50,7 @@ NOISE_NAMES = frozenset(
     "ad ads advert adverts advertisement adsbygoogle banner breadcrumb breadcrumbs comment comments commentlist consent cookie cookies disqus footer gdpr header masthead menu menubar modal nav navbar navigation newsletter notice pager pagination popup promo promoted related respond share sharing sidebar social sponsor sponsored subscribe toolbar widget".split()
 )
 MAIN_TAGS = frozenset(("article", "main"))
+_BITS = 2**64 - 1
 
 _TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*+(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>"']++|"[^"]*+"|'[^']*+')*+)(?:>|\Z)""", re.S)
 _ATTR = re.compile(r"""([^\s"'>/=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
@@ -136,43 +141,42 @@ def _judge_names(root: Node) -> None:
             seen[above][4] |= title
 
 
-def _walk(root: Node):
-    """(node, path, in article) of every element outside noise, parents first; no recursion, for deep pages."""
-    todo = [(root, "", False)]
-    while todo:
-        node, path, inside = todo.pop()
-        yield node, path, inside
-        for x in reversed(node.kids):
-            if isinstance(x, Node) and not x.noise and not (x.tag == "header" and not (inside or node.main)):
-                todo.append((x, f"{path}/{x.label}", inside or node.main))
-
-
-def _texts(node: Node) -> list[str]:
-    out, todo = [], [node]
-    while todo:
-        x = todo.pop()
-        if isinstance(x, str):
-            out.append(x)
-        elif not x.noise:
-            todo += reversed(x.kids)
-    return out
-
-
-def elements(text: str | None) -> list[tuple[str, int, int]]:
-    """(path, presentation, content) of the elements that may be dropped: outside noise, outside the article and not around it."""
-    root, out, around = parse(text or ""), [], set()
-    found = list(_walk(root))
-    for node, path, inside in found:
-        if node.main and not inside:
-            parts = path.split("/")
-            around.update("/".join(parts[:i]) for i in range(len(parts) + 1))
-    for node, path, inside in found[1:]:
-        if not inside and not node.main and path not in around and node.tag not in ("html", "body") and node.tag not in VOID:
-            style = ",".join(x.label for x in node.kids if isinstance(x, Node))
-            content = _SPACE.sub(" ", " ".join(_texts(node))).strip()
-            if content:
-                out.append((path, style, content))
-    return out
+def _step(path: int, label: str) -> int:
+    """Of the path above and an element, the element's path."""
+    return xxhash.xxh3_64_intdigest(label, path & _BITS)
+
+
+def _hash(parts: list[str]) -> int:
+    return xxhash.xxh3_64_intdigest("\x00".join(parts))
+
+
+def elements(text: str | None) -> tuple[int, list[tuple[int, bool, int, int]]]:
+    """Hash of the article (or of all text), and (path, in article, presentation, content) of each path outside noise that may be dropped."""
+    todo, seen = [(parse(text or ""), 0, -1, False)], []
+    while todo:  # parents first; no recursion, for deep pages
+        node, path, above, inside = todo.pop()
+        inner, at = inside or node.main, len(seen)
+        seen.append((node, path, above, inside, [], {}))
+        for x in node.kids:
+            if isinstance(x, Node) and not x.noise and not (x.tag == "header" and not inner):
+                todo.append((x, _step(path, x.label), at, inner))
+    by_path: dict[int, tuple[bool, list[str], list[str]]] = {}
+    articles, total = [], 0
+    for node, path, above, inside, _, below in reversed(seen):
+        # What is not among the children's hashes is noise.
+        words = [" ".join(x.split()) if isinstance(x, str) else below.get(id(x), "") for x in node.kids]
+        content = f"{_hash(words):x}" if any(words) else ""
+        if above >= 0:
+            seen[above][5][id(node)] = content
+        else:
+            total = content
+        if node.main and not inside and content:
+            articles.append(content)
+        if content and (node.tag in BLOCK or node.label != node.tag) and node.tag not in ("html", "body") and not node.main:
+            entry = by_path.setdefault(path, (inside, [], []))
+            entry[1].append(",".join(x.label for x in node.kids if isinstance(x, Node)))
+            entry[2].append(content)
+    return _hash(articles or [str(total)]), [(path, inside, _hash(style), _hash(content)) for path, (inside, style, content) in by_path.items()]
 
 
 def main_text(text: str | None, drop: frozenset = frozenset()) -> str:
@@ -187,7 +191,7 @@ def main_text(text: str | None, drop: frozenset = frozenset()) -> str:
                 blocks.append(block)
             line.clear()
 
-    todo: list = [(root, "", False)]
+    todo: list = [(root, 0, False)]
     while todo:
         x = todo.pop()
         if x is None:
@@ -196,7 +200,7 @@ def main_text(text: str | None, drop: frozenset = frozenset()) -> str:
             line.append(x)
         else:
             node, path, inside = x
-            if node.noise or (node.tag == "header" and not inside) or path in drop and not inside:
+            if node.noise or (node.tag == "header" and not inside) or path in drop:
                 line.append(" ")
                 continue
             if node.tag == "br":
@@ -207,47 +211,59 @@ def main_text(text: str | None, drop: frozenset = frozenset()) -> str:
                 flush()
                 todo.append(None)
             inner = inside or node.main
-            todo += [k if isinstance(k, str) else (k, f"{path}/{k.label}", inner) for k in reversed(node.kids)]
+            todo += [k if isinstance(k, str) else (k, _step(path, k.label), inner) for k in reversed(node.kids)]
     flush()
     return "\n".join(blocks)
 
 
-def _host(url: str | None) -> str:
-    m = re.search(r"://([^/?#]*)", url or "")
-    return m[1].lower() if m else ""
+def _signed(values) -> pa.Array:
+    return pa.array(np.array(list(values), np.uint64).view(np.int64))
 
 
-def low_paths(pages: DataFrame, scratch: Scratch) -> DataFrame:
-    """(host, drop): paths of low importance of each host that has any."""
+def _importance(k: str) -> Column:
+    """Entropy of the counts of one kind, scaled by that of as many different ones; in the article one more page, unlike all, counts."""
+    m, s = F.col("m") + F.col("inside").cast("int"), F.col("s")  # the imagined one adds 1 * log(1)
+    return F.when(m > 1, (F.log(m) - s / m) / F.log(m)).otherwise(1.0).alias(k)
 
-    def work(batches):
-        for b in slices(batches):
-            out = [(_host(u), *e) for u, h in zip(b.column(0).to_pylist(), b.column(1).to_pylist()) for e in [("", "", ""), *elements(h)]]
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.string()) for x in (zip(*out) if out else [[]] * 4)], ["host", "path", "style", "content"])
 
-    seen = pages.select("url", "html").mapInArrow(work, "host string, path string, style string, content string")
-    kinds = seen.select("host", "path", F.explode(F.array(F.struct(F.lit("s").alias("k"), F.xxhash64("style").alias("v")), F.struct(F.lit("c").alias("k"), F.xxhash64("content").alias("v")))).alias("x"))
-    counts = kinds.groupBy("host", "path", "x.k", "x.v").agg(F.count("*").alias("n"))
-    entropy = counts.groupBy("host", "path", "k").agg(F.sum("n").alias("m"), F.sum(F.col("n") * F.log("n")).alias("s"))
-    entropy = entropy.withColumn("e", F.log("m") - F.col("s") / F.col("m"))
-    by_path = entropy.groupBy("host", "path").agg(F.max("e").alias("e"), F.max("m").alias("m"))
-    pages_of = by_path.where("path = ''").select("host", F.col("m").alias("pages")).where(F.col("pages") >= LEAST_PAGES)
-    low = by_path.where("path <> ''").join(pages_of, "host").where((F.col("m") > 1) & (F.col("e") / F.log("pages") < LEAST_IMPORTANCE) & (F.col("m") * 2 >= F.col("pages")))
-    return scratch.keep(low.groupBy("host").agg(F.array_sort(F.collect_set("path")).alias("drop")), "low")
+def low_paths(seen: DataFrame) -> DataFrame:
+    """(host, path) of low importance, of ``seen(host, body, path, inside, style, content)``."""
+    once = seen.groupBy("host", "path", "body").agg(F.max("inside").alias("inside"), F.min("style").alias("style"), F.min("content").alias("content"))
+    kinds = once.select("host", "path", "inside", F.explode(F.array(F.struct(F.lit("s").alias("k"), F.col("style").alias("v")), F.struct(F.lit("c").alias("k"), F.col("content").alias("v")))).alias("x"))
+    counts = kinds.groupBy("host", "path", "x.k", "x.v").agg(F.count("*").alias("n"), F.max("inside").alias("inside"))
+    sums = counts.groupBy("host", "path", "k").agg(F.sum("n").alias("m"), F.sum(F.col("n") * F.log("n")).alias("s"), F.max("inside").alias("inside"))
+    by_path = sums.select("host", "path", "m", _importance("e")).groupBy("host", "path").agg(F.max("e").alias("e"), F.max("m").alias("m"))
+    return by_path.where((F.col("m") > 1) & (F.col("e") < LEAST_IMPORTANCE)).select("host", "path")
 
 
 def extract(pages: DataFrame, page_id: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
     """(page_id, url, text, n_chars) of every page."""
     spark = pages.sparkSession
     ship(spark)
-    rows = pages.select(F.col(page_id).alias("page_id"), F.col(url).alias("url"), F.col(html).alias("html"))
-    low = low_paths(rows, Scratch(spark, "html"))
+    scratch = Scratch(spark, "html")
     host = F.translate(F.regexp_extract(F.coalesce("url", F.lit("")), r"(?s)^.*?://([^/?#]*)", 1), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-    joined = rows.withColumn("host", host).join(low, "host", "left").select("page_id", "url", "html", "drop")
+    rows = pages.select(F.col(page_id).alias("page_id"), F.col(url).alias("url"), F.col(html).alias("html"))
+    # Pages of equal address and html have equal results, so a hash of both is all that a page needs as its name.
+    rows = rows.withColumn("host", host).withColumn("page", F.xxhash64("url", "html"))
+
+    def tree(batches):
+        for b in slices(batches):
+            out = []
+            for name, page, h in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
+                article, found = elements(h)
+                out += [(name, page, article, *x) for x in found]
+            names, ids, body, path, inside, style, content = zip(*out) if out else [()] * 7
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(ids, pa.int64()), _signed(body), _signed(path), pa.array(inside, pa.bool_()), _signed(style), _signed(content)], ["host", "page", "body", "path", "inside", "style", "content"])
+
+    seen = scratch.keep(rows.select("host", "page", "html").mapInArrow(tree, "host string, page long, body long, path long, inside boolean, style long, content long"), "elements")
+    low = scratch.keep(low_paths(seen), "low")
+    drops = scratch.keep(seen.join(low, ["host", "path"]).groupBy("page").agg(F.collect_set("path").alias("drop")), "drops")
+    scratch.drop_all_but(drops)
+    joined = rows.join(drops, "page", "left").select("page_id", "url", "html", "drop")
 
     def work(batches):
         for b in slices(batches):
-            texts = [main_text(h, frozenset(d or ())) for h, d in zip(b.column(2).to_pylist(), b.column(3).to_pylist())]
+            texts = [main_text(h, frozenset(x & _BITS for x in d or ())) for h, d in zip(b.column(2).to_pylist(), b.column(3).to_pylist())]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array(map(len, texts), pa.int64())], ["page_id", "url", "text", "n_chars"])
 
     kinds = dict(rows.dtypes)

@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 THRESHOLD = 0.5
 #: Characters before and after a span in which a word of context counts.
 NEAR = 40
+#: Matches that are placed one after another before their places are moved together.
+RUN = 256
 
 
 @dataclass(frozen=True)
@@ -81,10 +83,16 @@ def _spans(text: Column, k: int, kind: Kind) -> Column:
     pattern = F.lit(kind.pattern)
     found = F.regexp_extract_all(text, pattern, F.lit(0))
     pieces = F.split(text, kind.pattern, -1)
-    #: Running place: the n-th match begins after the first n pieces and the n-1 matches before it.
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,m:string>>").alias("out"))
+    #: Running place: the n-th match begins after the first n pieces and the n-1 matches before it. An accumulator is copied at every step, so matches are
+    #: placed within runs of RUN first, and the runs then moved to where they begin.
+    none = F.array().cast("array<struct<start:int,m:string>>")
+    start = F.struct(F.lit(0).alias("at"), none.alias("out"))
     step = lambda acc, x: F.struct((acc["at"] + F.length(x["p"]) + F.length(x["m"])).alias("at"), F.concat(acc["out"], F.array(F.struct((acc["at"] + F.length(x["p"])).alias("start"), x["m"].alias("m")))).alias("out"))
-    placed = F.aggregate(F.zip_with(F.slice(pieces, 1, F.size(found)), found, lambda p, m: F.struct(p.alias("p"), m.alias("m"))), start, step, lambda acc: acc["out"])
+    pairs = F.zip_with(F.slice(pieces, 1, F.size(found)), found, lambda p, m: F.struct(p.alias("p"), m.alias("m")))
+    runs = F.transform(F.sequence(F.lit(0), F.floor((F.size(found) - 1) / RUN).cast("int")), lambda i: F.aggregate(F.slice(pairs, i * RUN + 1, F.lit(RUN)), start, step))
+    moved = lambda acc, r: F.struct((acc["at"] + r["at"]).alias("at"), F.concat(acc["out"], F.array(F.transform(r["out"], lambda x: F.struct((x["start"] + acc["at"]).alias("start"), x["m"].alias("m"))))).alias("out"))
+    first = F.struct(F.lit(0).alias("at"), F.array().cast("array<array<struct<start:int,m:string>>>").alias("out"))
+    placed = F.when(F.size(found) > 0, F.aggregate(runs, first, moved, lambda acc: F.flatten(acc["out"]))).otherwise(none)
     good = F.filter(placed, lambda x: kind.check(x["m"]))
 
     def scored(x):
@@ -97,8 +105,7 @@ def _spans(text: Column, k: int, kind: Kind) -> Column:
         out = F.filter(out, lambda s: s["score"] >= THRESHOLD)
     needs = kind.needs or re.compile("[0-9]{2}|[0-9][ -][0-9]")
     sign = F.contains(text, F.lit(needs)) if isinstance(needs, str) else text.rlike(needs.pattern)
-    none = F.array().cast("array<struct<start:int,k:int,end:int,kind:string,score:double>>")
-    return F.coalesce(F.when(sign, out), none)
+    return F.coalesce(F.when(sign, out), F.array().cast("array<struct<start:int,k:int,end:int,kind:string,score:double>>"))
 
 
 def find(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:

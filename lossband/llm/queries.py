@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from . import ann, byte_bpe, exact_dedup, html_text, licenses, mixing, near_dedup, pii, quality, url_filter
 from .common import table
+from .license_texts import TEXTS
 
 #: Rules of op2, in the order given.
 RULES = (("allow", "com/"), ("block", "example.com/en/"), ("allow", "www.example.com/en/"), ("block", "net/es/"), ("block", "net/fr/"))
@@ -65,11 +66,11 @@ NOTICES = (
 
 
 def known_licenses(spark: SparkSession) -> DataFrame:
-    """(name, text): the notices, and the full texts that the public tokenizers come with."""
+    """(name, text): the notices, full texts of public licenses, and those that the public tokenizers come with."""
     with open(public_tokenizers.path("LICENSES.txt"), encoding="utf-8") as f:
         parts = re.split(r"(?m)^[\w.*]+:\n", f.read())
     full = [(("Apache-2.0" if "Apache License" in x[:400] else "MIT" if "Permission is hereby granted" in x else "other"), x) for x in parts if len(x) > 400]
-    return spark.createDataFrame([*NOTICES, *full], "name string, text string")
+    return spark.createDataFrame([*NOTICES, *TEXTS, *full], "name string, text string")
 
 
 def op6_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:

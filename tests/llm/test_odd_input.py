@@ -57,6 +57,54 @@ def test_pii_numbers_with_dots(spark):
     assert [[(s["start"], s["end"], s["kind"]) for s in got[i]] for i in range(4)] == [[(5, 17, "local_phone")], [(4, 18, "local_phone")], [(5, 17, "local_phone")], []]
 
 
+def test_pii_kinds_beyond_the_base(spark):
+    """IBANs, national numbers and local telephone numbers by definition: pattern, check, context within reach, no overlap of one kind."""
+    import random
+    import re
+
+    from lossband.llm import pii
+
+    def iban_ok(m):
+        bare = m.replace(" ", "")
+        return 15 <= len(bare) <= 34 and int("".join(str(int(c, 36)) for c in bare[4:] + bare[:4])) % 97 == 1
+
+    checks = {"iban": iban_ok, "national_id": lambda m: not re.search("^(000|666|9)|-00-|-0000$", m), "local_phone": lambda m: len(re.sub("[^0-9]", "", m)) == 10}
+    rng = random.Random(2)
+    parts = ["DE89370400440532013000", "GB82 WEST 1234 5698 7654 32", "DE88370400440532013000", "123-45-6789", "000-12-3456", "987-65-4321", "555-123-4567", "(555) 123-4567", "555.123.4567", "SSN", "social security", "call", "tel", "account", "phone", "word", "x" * 50, ",", "\n", "9", "+1"]
+    texts = [" ".join(rng.choice(parts) for _ in range(rng.randrange(1, 25))) for _ in range(300)]
+    got = {r["doc_id"]: r["spans"] for r in pii.find(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    seen = set()
+    for i, t in enumerate(texts):
+        want = []
+        for k, kind in enumerate(pii.KINDS):
+            if kind.base or kind.name == "local_phone":
+                continue
+            for m in re.finditer(kind.pattern, t):
+                if checks[kind.name](m[0]):
+                    near = t[max(0, m.start() - pii.NEAR) : max(0, m.start() - pii.NEAR) + len(m[0]) + 2 * pii.NEAR].lower()
+                    if kind.score + (kind.bonus if re.search(kind.context, near) else 0) >= pii.THRESHOLD:
+                        want.append((m.start(), k, m.end(), kind.name))
+                        seen.add(kind.name)
+        assert [(s["start"], s["k"], s["end"], s["kind"]) for s in got[i] if s["kind"] in ("iban", "national_id")] == sorted(want), t
+    assert seen == {"iban", "national_id"}
+
+
+def test_pii_of_long_texts_is_linear(spark):
+    import time
+
+    from lossband.llm import pii
+
+    def took(n):
+        df = spark.createDataFrame([(1, "12 a " * n + "1.2.3.4")], "doc_id long, text string")
+        began = time.time()
+        spans = pii.find(df).first()["spans"]
+        assert [(s["start"], s["kind"]) for s in spans] == [(5 * n, "ip")]
+        return time.time() - began
+
+    took(1_000)
+    assert took(100_000) < 30 * max(took(10_000), 0.3)
+
+
 def test_quality(docs, none, spark):
     from lossband.llm import quality
 
@@ -374,6 +422,60 @@ def test_licenses(spark):
     assert lc.scan(docs.where("1 = 0"), known).count() == 0
 
 
+def test_licenses_of_entire_texts(spark):
+    """Only the digest of the whole text says what a license text is, whatever its case, spelling, holder and line breaks."""
+    from lossband.llm import licenses as lc
+    from lossband.llm import queries
+    from lossband.llm.license_texts import TEXTS
+
+    known = queries.known_licenses(spark)
+    texts = dict(TEXTS)
+    docs = [
+        (1, "Copyright (c) 2021 A. Body\n\n" + texts["MIT"]), (2, texts["BSD-3-Clause"].upper().replace(" ", "\n")), (3, texts["ISC"].replace("software", "softwares")), (4, texts["Zlib"].replace("acknowledgment", "acknowledgement")),
+        (5, texts["MIT"] + " and more"), (6, texts["0BSD"]), (7, "(c) 1999 X. All rights reserved.\n" + texts["BSD-2-Clause"]),
+    ]
+    got = {r["doc_id"]: r["licenses"] for r in lc.scan(spark.createDataFrame(docs, "doc_id long, text string"), known).collect()}
+    assert {i: "".join(x) for i, x in got.items()} == {1: "MIT", 2: "BSD-3-Clause", 3: "", 4: "Zlib", 5: "", 6: "0BSD", 7: "BSD-2-Clause"}
+
+
+def test_html_tree_decides(spark):
+    """Plain branches that repeat go, on hosts of two pages and inside articles; what differs, or only looks alike because articles are copies, stays."""
+    from lossband.llm import html_text as h
+
+    def two(i):
+        return f"<body><div><p>Subscribe to our letter, all of you</p></div><article><h1>T{i}</h1><p>Text {i}</p><div><p>Shared line</p></div></article></body>"
+
+    def many(i, note):
+        return f"<body><div><div><h1>T{i}</h1><p>Text {i}</p><div class=x><p>{note}</p></div></div></div></body>"
+
+    def inside(i):
+        return f"<article><h1>T{i}</h1><p>Text {i}</p><div class=box>Read more of our stories</div><p>End {i % 3}</p></article>"
+
+    rows = [(i, "http://two.org/", two(i)) for i in (1, 2)] + [(10 + i, "http://Many.org/", many(i, "same")) for i in range(3)] + [(20 + i, "http://free.org/", many(i, f"own {i}")) for i in range(3)]
+    rows += [(30 + i, "http://in.org/", inside(i)) for i in range(9)] + [(50 + i, "http://copy.org/", "<div>menu</div><article><h1>Same</h1><p>article</p></article>") for i in range(9)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r["page_id"]: r["text"] for r in h.extract(pages).collect()}
+    assert got[1] == "T1\nText 1\nShared line" and got[2] == "T2\nText 2\nShared line"
+    assert got[11] == "T1\nText 1" and got[21] == "T1\nText 1\nown 1"
+    assert got[34] == "T4\nText 4\nEnd 1" and got[55] == "menu\nSame\narticle"
+    assert "Subscribe" in h.main_text(two(1)) and "same" in h.main_text(many(1, "same")) and "Read more" in h.main_text(inside(1))
+
+
+def test_html_of_deep_pages_is_linear():
+    import time
+
+    from lossband.llm import html_text as h
+
+    def took(n):
+        page = "<table><tr><td>" * n + "x" + "</td></tr></table>" * n
+        began = time.process_time()
+        assert h.main_text(page) == "x" and len(h.elements(page)[1]) >= n
+        return time.process_time() - began
+
+    took(500)
+    assert took(40_000) < 40 * max(took(4_000), 0.01)
+
+
 def test_html(spark):
     from lossband.llm import html_text as h
 
