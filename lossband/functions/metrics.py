@@ -38,7 +38,7 @@ def geomean(ratios: DataFrame, by=("metric", "model")) -> DataFrame:
 
 def average_rank(scores: DataFrame, name: str, by=None) -> DataFrame:
     """Key and average rank: the mean of the ranks that rows of equal score take up."""
-    rows = ranked(scores, by) if by else ranked(scores, None)
+    rows = ranked(scores, by, ties=True)
     group = [by] if isinstance(by, str) else list(by or [])
     tied = Window.partitionBy(*group, "rfl")
     first = F.min("rank_key").over(tied)

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.tables import load
@@ -34,28 +34,47 @@ CORPORA = {
 }
 
 
-def regularize(rows: DataFrame, source: Column, series_id: Column, slot: Column, value: Column, length: int) -> DataFrame:
+def _cells(rows: DataFrame, source: Column, series_id: Column, slot: Column, value: Column, length: int | None) -> DataFrame:
+    cells = rows.select(source.cast("string").alias("source"), series_id.cast("string").alias("series_id"), slot.cast("long").alias("t"), value.cast("long").alias("y"))
+    inside = F.col("t") >= 0 if length is None else F.col("t").between(0, length - 1)
+    cells = cells.where(inside & F.col("source").isNotNull() & F.col("series_id").isNotNull())
+    return cells.groupBy("source", "series_id", "t").agg(F.sum("y").alias("y"))
+
+
+def regularize(rows: DataFrame, source: Column, series_id: Column, slot: Column, value: Column, length: int | None) -> DataFrame:
     """(source, series_id, t, y) for every series and every slot 0..length-1; y is the sum of the slot's values, null without any.
 
-    Each series' slots are one array that is taken apart after the only shuffle, so that no join meets the grid.
+    Without a ``length`` every series runs to the last slot that any row has. Each observed slot brings forth the
+    empty ones up to the next, and the first one those before it, so the work is in proportion to the slots, no
+    join meets the grid, and no series is held as one row.
     """
-    cells = rows.select(source.cast("string").alias("source"), series_id.cast("string").alias("series_id"), slot.cast("long").alias("t"), value.cast("long").alias("y"))
-    cells = cells.where(F.col("t").between(0, length - 1) & F.col("source").isNotNull() & F.col("series_id").isNotNull())
-    sums = cells.groupBy("source", "series_id", "t").agg(F.sum("y").alias("y"))
-    by_series = sums.groupBy("source", "series_id").agg(F.map_from_entries(F.collect_list(F.struct("t", "y"))).alias("at"))
-    slots = by_series.select("source", "series_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(length - 1).cast("long"))).alias("t"), "at")
-    return slots.select("source", "series_id", "t", F.try_element_at("at", F.col("t")).alias("y"))
+    sums = _cells(rows, source, series_id, slot, value, length)
+    end = F.lit(length).cast("long")
+    if length is None:
+        # One number, of all rows.
+        last = rows.agg(F.max(slot.cast("long"))).first()[0]
+        end = F.lit((last if last is not None else -1) + 1).cast("long")
+    at = Window.partitionBy("source", "series_id").orderBy("t")
+    first = F.when(F.lag("t").over(at).isNull(), F.lit(0)).otherwise(F.col("t")).cast("long")
+    gaps = sums.select("source", "series_id", F.col("t").alias("own"), "y", first.alias("from"), (F.coalesce(F.lead("t").over(at), end) - 1).alias("to"))
+    slots = gaps.select("source", "series_id", "own", "y", F.explode(F.sequence("from", "to")).alias("t"))
+    return slots.select("source", "series_id", "t", F.when(F.col("t") == F.col("own"), F.col("y")).alias("y"))
 
 
 def regularize_join(rows: DataFrame, source: Column, series_id: Column, slot: Column, value: Column, length: int) -> DataFrame:
-    """Same result by a left join of all slots with the sums: for series too long to hold as one array."""
-    cells = rows.select(source.cast("string").alias("source"), series_id.cast("string").alias("series_id"), slot.cast("long").alias("t"), value.cast("long").alias("y"))
-    cells = cells.where(F.col("t").between(0, length - 1) & F.col("source").isNotNull() & F.col("series_id").isNotNull())
-    sums = cells.groupBy("source", "series_id", "t").agg(F.sum("y").alias("y"))
+    """Same result by a left join of all slots with the sums."""
+    sums = _cells(rows, source, series_id, slot, value, length)
     slots = sums.select("source", "series_id").distinct().select("source", "series_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(length - 1).cast("long"))).alias("t"))
     return slots.join(sums, ["source", "series_id", "t"], "left")
 
 
+def impute(grid: DataFrame, how: str) -> DataFrame:
+    """The grid with its empty slots filled: ``ffill`` by the last observed value, ``mean`` by that of the observed values before, ``zero``."""
+    before = Window.partitionBy("source", "series_id").orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
+    fill = {"ffill": lambda: F.last("y", ignorenulls=True).over(before), "mean": lambda: F.coalesce(F.col("y").cast("double"), F.avg("y").over(before)), "zero": lambda: F.coalesce("y", F.lit(0))}
+    return grid.withColumn("y", fill[how]())
+
+
 def observed_mask(grid: DataFrame) -> DataFrame:
     return grid.withColumn("observed", F.col("y").isNotNull().cast("tinyint"))
 
@@ -98,8 +117,6 @@ def build(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def user_sequence(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ragged series: each user's events in order, one slot an event."""
     rows = load(spark, sf_dir, "events")
-    from pyspark.sql import Window
-
     nth = F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id")) - 1
     return rows.select(F.pmod("user_id", F.lit(5)).cast("string").alias("source"), F.col("user_id").cast("string").alias("series_id"), nth.cast("long").alias("t"), cents("value").alias("y"))
 

@@ -67,8 +67,9 @@ def distributed(scores: DataFrame, by="source", parts: int | None = None, ties:
     return out.drop("part", "at", "first", "before").select(*rows.columns, "n", "rank_key", *(["rank_max"] if ties else []))
 
 
-def ranked(scores: DataFrame, by="source", method: str = "distributed") -> DataFrame:
-    return local(scores, by) if method == "local" and _by(by) else distributed(scores, by)
+def ranked(scores: DataFrame, by="source", method: str = "distributed", ties: bool = False) -> DataFrame:
+    """n and rank_key of every row; rank_max too with ``ties``, which keeps rows of equal score in one partition."""
+    return local(scores, by) if method == "local" and _by(by) else distributed(scores, by, ties=ties)
 
 
 def cutoffs(scores: DataFrame, wanted: Column, by="source", slack: float = 0.02, accuracy: int = 1_000) -> DataFrame:
@@ -97,10 +98,11 @@ def cutoffs(scores: DataFrame, wanted: Column, by="source", slack: float = 0.02,
         bands = keep(bands, "bands")
         met = rows.join(F.broadcast(bands), group)  # groups x wanted ranks
         below = met.where("rfl < lo").groupBy(*group, "rank").agg(F.count("*").alias("below"))
-        inside = met.where("rfl between lo and hi").select(*group, "n", "rank", "rfl", *(["source"] if "source" not in group else []), *KEY)
-        nth = F.row_number().over(Window.partitionBy(*group, "rank").orderBy("rfl", *tie_key(by)))
-        hit = inside.withColumn("nth", nth).join(below, [*group, "rank"], "left").where(F.col("nth") + F.coalesce("below", F.lit(0)) == F.col("rank"))
-        hit = keep(hit.drop("nth", "below"), "cut")
+        inside = met.where("rfl between lo and hi").select(*group, F.col("n").alias("total"), "rank", "rfl", *(["source"] if "source" not in group else []), *KEY)
+        # However many rows a band has, they are dealt over all tasks.
+        nth = distributed(inside, [*group, "rank"], ties=False).drop("n")
+        hit = nth.join(F.broadcast(below), [*group, "rank"], "left").where(F.col("rank_key") + F.coalesce("below", F.lit(0)) == F.col("rank"))
+        hit = keep(hit.withColumnRenamed("total", "n").select(*group, "n", "rank", "rfl", *(["source"] if "source" not in group else []), *KEY), "cut")
         found = hit if found is None else found.unionByName(hit)
         goals = keep(goals.join(hit.select(*group, "rank"), [*group, "rank"], "left_anti"), "goals")
         if goals.isEmpty():

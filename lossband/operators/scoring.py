@@ -11,7 +11,7 @@ from dataclasses import dataclass, field
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from ..functions.loss import MSE, ErrorLoss, mean_where
@@ -318,7 +318,29 @@ def arrow_scores(grid: DataFrame, predict, context: int, horizon: int, loss=None
     return rows.mapInArrow(work, "source string, series_id string, origin long, m long, rfl double")
 
 
-def score(grid: DataFrame, reference, context: int, horizon: int, held_out: bool = True, stride: int = 1, **options) -> DataFrame:
+SCALINGS = ("context_std", "context_meanabs", "series_std")
+
+
+def scales(grid: DataFrame, context: int, scaling: str) -> DataFrame:
+    """(source, series_id, origin, scale): spread or mean size of the observed context, or spread of the whole series."""
+    past = series().rowsBetween(0, context - 1)
+    whole = Window.partitionBy("source", "series_id")
+    made = {"context_std": lambda: F.stddev_pop("y").over(past), "context_meanabs": lambda: F.avg(F.abs("y")).over(past), "series_std": lambda: F.stddev_pop("y").over(whole)}
+    return grid.select("source", "series_id", F.col("t").alias("origin"), made[scaling]().alias("scale"))
+
+
+def scaled(scores: DataFrame, grid: DataFrame, context: int, scaling: str, power: int = 2) -> DataFrame:
+    """Scores as if every window had been divided by its scale: a squared loss by the scale's square (``power`` 1 for absolute ones).
+
+    Windows without a scale above 0 cannot be scored. Joins one number a window.
+    """
+    rows = scores.join(scales(grid, context, scaling), ["source", "series_id", "origin"], "left")
+    value = F.when(F.col("scale") > 0, F.col("rfl") / F.pow("scale", F.lit(power)))
+    rows = rows.withColumn("rfl", value)
+    return rows.withColumn("status", F.when(F.col("rfl").isNull(), "unscorable").otherwise("ok")).select(*scores.columns)
+
+
+def score(grid: DataFrame, reference, context: int, horizon: int, held_out: bool = True, stride: int = 1, scaling: str = "none", **options) -> DataFrame:
     """Score table of ``reference`` over all windows of ``grid``; none whose future reaches into the last horizon if ``held_out``."""
     rows = reference.score(grid, context, horizon, **options)
     if held_out:
@@ -327,7 +349,15 @@ def score(grid: DataFrame, reference, context: int, horizon: int, held_out: bool
         rows = rows.withColumn("last", last).where(F.col("origin") + horizon <= F.col("last")).drop("last")
     if stride > 1:
         rows = rows.where(F.col("origin") % stride == 0)
-    return finish(rows, reference.id)
+    out = finish(rows, reference.id)
+    return out if scaling == "none" else scaled(out, grid, context, scaling)
+
+
+def observed(scores: DataFrame, name: str = "scores"):
+    """The score table, and an Observation that holds windows, scorable ones and the mean loss once the table has been written."""
+    seen = Observation(name)
+    ok = F.col("status") == "ok"
+    return scores.observe(seen, F.count("*").alias("windows"), F.count_if(ok).alias("scorable"), F.avg("rfl").alias("mean")), seen
 
 
 def store(scores: DataFrame, path: str) -> None:
@@ -336,6 +366,13 @@ def store(scores: DataFrame, path: str) -> None:
     store_scores(scores, path)
 
 
+def amortisation(scores: DataFrame, targets: int, ratios: int) -> DataFrame:
+    """By source: forward passes of one score table, those that scoring for every target and ratio anew would take, and the difference."""
+    uses = targets * ratios
+    rows = scores.groupBy("source").agg(F.count("*").alias("passes"))
+    return rows.select("source", F.lit(uses).alias("selections"), "passes", (F.col("passes") * uses).alias("without_reuse"), (F.col("passes") * (uses - 1)).alias("saved"))
+
+
 def cost_report(scores: DataFrame) -> DataFrame:
     """By source: forward passes, scalars that ranking sorts, n ln n of the sort, bytes of the stored scalars."""
     ok = F.count(F.when(F.col("status") == "ok", 1))

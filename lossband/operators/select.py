@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..schema import Alpha
+from ..sources.tables import keep
 from .rank import _by, cutoffs, distributed, ranked, scorable, tie_key
 
 KEYS = ["source", "series_id", "origin"]
@@ -36,11 +37,38 @@ def by_cdf(n: Column, rank: Column, alpha: Alpha) -> Column:
     return (n * (q - p) <= rank * (2 * q)) & (rank * (2 * q) <= n * (q + p))
 
 
+def cdf_ends(rows: DataFrame, alphas: list[Alpha], by) -> DataFrame:
+    """(by, i, lo, hi) for each ratio: the CDF rule keeps the scores from ``lo`` on that lie below ``hi`` (null: all).
+
+    The share of scores not above s grows with s, so the rule is a range of scores. Its ends are the scores at two
+    ranks of ``rows`` (which has n and rank_key): rows of equal score need not meet for that.
+    """
+    by = _by(by)
+    ends = []
+    for i, a in enumerate(alphas):
+        # Exact integer division, so that no rounding moves an end.
+        first = F.greatest(F.expr(f"(n * {a.den - a.num} + {2 * a.den - 1}) div {2 * a.den}"), F.lit(1).cast("long"))
+        after = F.expr(f"(n * {a.den + a.num}) div {2 * a.den}") + 1
+        ends.append(F.struct(F.lit(i).alias("i"), first.alias("first"), after.alias("after")))
+    goals = rows.select(*by, "rank_key", "rfl", F.explode(F.array(*ends)).alias("x")).where("rank_key in (x.first, x.after)")
+    at = lambda c: F.max(F.when(F.col("rank_key") == F.col(f"x.{c}"), F.col("rfl")))
+    return goals.groupBy(*by, F.col("x.i").alias("i")).agg(at("first").alias("lo"), at("after").alias("hi"))
+
+
+def _by_scores(rows: DataFrame, alphas: list[Alpha], by) -> DataFrame:
+    """``rows`` with ``i`` for each ratio whose CDF rule keeps them."""
+    by = _by(by)
+    rows = keep(rows, "ranked")
+    ends = F.broadcast(cdf_ends(rows, alphas, by))  # a row a group and ratio
+    met = rows.join(ends, by) if by else rows.crossJoin(ends)
+    return met.where((F.col("rfl") >= F.col("lo")) & (F.col("hi").isNull() | (F.col("rfl") < F.col("hi")))).drop("lo", "hi")
+
+
 def central(scores: DataFrame, alpha, by="source", rule: str = "count", method: str = "distributed") -> DataFrame:
     """The middle share of every group of ``by``, or of everything if that is None."""
     alpha = Alpha.of(alpha)
     rows = ranked(scores, by, method)
-    return rows.where(by_count(F.col("n"), F.col("rank_key"), alpha) if rule == "count" else by_cdf(F.col("n"), F.col("rank_max"), alpha))
+    return rows.where(by_count(F.col("n"), F.col("rank_key"), alpha)) if rule == "count" else _by_scores(rows, [alpha], by).drop("i")
 
 
 def central_by_cutoffs(scores: DataFrame, alpha, by="source") -> DataFrame:
@@ -78,9 +106,12 @@ def interval(scores: DataFrame, low, high, by="source", method: str = "distribut
 def sweep(scores: DataFrame, alphas, by="source", rule: str = "count", method: str = "distributed") -> DataFrame:
     """(alpha_num, alpha_den, key...): several ratios from one ranking."""
     rows = ranked(scores, by, method)
-    test = lambda a: by_count(F.col("n"), F.col("rank_key"), a) if rule == "count" else by_cdf(F.col("n"), F.col("rank_max"), a)
     alphas = [Alpha.of(a) for a in alphas]
-    hits = F.array_compact(F.array(*(F.when(test(a), F.struct(F.lit(a.num).alias("alpha_num"), F.lit(a.den).alias("alpha_den"))) for a in alphas)))
+    named = [F.struct(F.lit(a.num).alias("alpha_num"), F.lit(a.den).alias("alpha_den")) for a in alphas]
+    if rule == "cdf":
+        rows = _by_scores(rows, alphas, by).withColumn("a", F.element_at(F.array(*named), F.col("i") + 1))
+        return rows.select("a.*", *scores.columns, "n", "rank_key")
+    hits = F.array_compact(F.array(*(F.when(by_count(F.col("n"), F.col("rank_key"), a), x) for a, x in zip(alphas, named))))
     return rows.select(F.explode(hits).alias("a"), *scores.columns, "n", "rank_key").select("a.*", *scores.columns, "n", "rank_key")
 
 

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
+import math
+from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import select as sel
@@ -40,7 +41,8 @@ class Judge:
 
     def __init__(self, grid: DataFrame, c: Corpus, lags: int):
         keys = validation_keys(lengths(grid), c.context, c.horizon)
-        self.held = keep(tg.examples(grid, keys, lags, c.context, c.horizon), "held")
+        # A window whose features are all missing or zero has no unit to be judged in.
+        self.held = keep(tg.examples(grid, keys, lags, c.context, c.horizon).where("size > 1e-6"), "held")
         naive = SeasonalNaive(c.season).error(grid, 1).select("source", "series_id", "t", "e1")
         ends = self.held.select("source", "series_id", "origin", "size")
         inside = (F.col("t") >= F.col("origin") + c.context) & (F.col("t") < F.col("origin") + c.context + c.horizon)
@@ -121,8 +123,21 @@ def trajectories(spark, sf_dir, name: str = "planted", alphas=("2/5", "4/5"), ki
     return spark.createDataFrame(out, "strategy string, alpha string, seed int, step int, val_loss double")
 
 
-def task_suite() -> list[tuple]:
-    """(task_id, corpus, granularity, context, horizon, season): every corpus at several granularities and horizons."""
+@dataclass(frozen=True)
+class Task:
+    """The last ``horizon`` slots of every series of a corpus whose slots are summed in groups of ``granularity``."""
+
+    id: str
+    corpus: str
+    granularity: int
+    length: int
+    context: int
+    horizon: int
+    season: int
+
+
+def task_suite() -> list[Task]:
+    """Every corpus at several granularities and horizons."""
     out = []
     for c in CORPORA.values():
         if c.name == "events_user_hourly":
@@ -132,10 +147,72 @@ def task_suite() -> list[tuple]:
             for label, horizon in (("short", max(1, season // 2)), ("medium", season), ("long", 2 * season)):
                 context = min(2 * c.context // g, length - 2 * horizon)
                 if context >= season:
-                    out.append((f"{c.name}/{g}/{label}", c.name, g, context, horizon, season))
+                    out.append(Task(f"{c.name}/{g}/{label}", c.name, g, length, context, horizon, season))
     return out
 
 
+def suite_by_grid() -> dict[tuple[str, int], list[Task]]:
+    out: dict[tuple[str, int], list[Task]] = {}
+    for t in task_suite():
+        out.setdefault((t.corpus, t.granularity), []).append(t)
+    return out
+
+
+def coarser(grid: DataFrame, granularity: int, length: int) -> DataFrame:
+    """Sums of ``granularity`` slots; a group without an observed slot is missing, one that the series ends in is left out."""
+    slot = F.floor(F.col("t") / granularity).cast("long")
+    return grid.where(F.col("t") < length * granularity).groupBy("source", "series_id", slot.alias("t")).agg(F.sum("y").alias("y"))
+
+
+def suite_errors(spark, sf_dir) -> DataFrame:
+    """(task_id, model, metric, value): mean squared and absolute error of forecasters that need no training, for every task.
+
+    All tasks of one grid read it once: the forecasts of each are window functions over the series.
+    """
+    at, out = Window.partitionBy("source", "series_id").orderBy("t"), None
+    whole = Window.partitionBy("source", "series_id")
+    for (name, g), tasks in suite_by_grid().items():
+        rows = coarser(build(spark, sf_dir, name), g, tasks[0].length).withColumn("y", F.col("y").cast("double"))
+        forecasts = []
+        for task in tasks:
+            start, named = task.length - task.horizon, F.lit(task.id).alias("task_id")
+            past = F.when(F.col("t") < start, F.col("y"))
+            recent = F.when((F.col("t") >= start - task.context) & (F.col("t") < start), F.col("y"))
+            bands = [F.when(F.floor((F.col("t") - start) / task.season) == k - 1, F.lag("y", k * task.season).over(at)) for k in range(1, -(-task.horizon // task.season) + 1)]
+            by = F.array(F.struct(named, F.lit("snaive").alias("model"), F.coalesce(*bands).alias("f")), F.struct(named, F.lit("last").alias("model"), F.max_by("y", F.when(past.isNotNull(), F.col("t"))).over(whole).alias("f")), F.struct(named, F.lit("mean").alias("model"), F.avg(recent).over(whole).alias("f")))
+            forecasts.append(F.when(F.col("t") >= start, by))
+        made = rows.select("y", F.flatten(F.array_compact(F.array(*forecasts))).alias("made"))
+        one = made.select("y", F.explode("made").alias("x")).select("x.task_id", "x.model", (F.col("y") - F.col("x.f")).alias("e"))
+        out = one if out is None else out.unionByName(one)
+    sums = out.where("e is not null").groupBy("task_id", "model").agg(F.avg(F.col("e") * F.col("e")).alias("mse"), F.avg(F.abs("e")).alias("mae"))
+    return sums.select("task_id", "model", F.explode(F.map_from_arrays(F.array(F.lit("mse"), F.lit("mae")), F.array("mse", "mae"))).alias("metric", "value"))
+
+
+def zero_shot_targets(spark, sf_dir, train: str = "supplier_weekly", alphas=("2/5", "4/5"), kinds=("central", "random_stratified"), lags: int = 8, horizon: int = 8) -> DataFrame:
+    """(strategy, alpha, kept, tasks, geomean): targets trained on selections of one corpus, judged on the others.
+
+    Features and futures are in units of the context's size, so one model fits any corpus. Each task is the last
+    ``horizon`` slots of a corpus that it was not trained on; its error is relative to the seasonal naive one, and the
+    mean over tasks is geometric.
+    """
+    grid, c = corpus(spark, sf_dir, train)
+    grid = keep(grid, "grid")
+    c = replace(c, horizon=horizon)
+    scores = keep(score(grid, SeasonalNaive(c.season), c.context, horizon), "scores")
+    judges = {}
+    for name in ("events_hourly", "orders_weekly", "brand_weekly", "embedding_axis", "planted"):
+        other, o = corpus(spark, sf_dir, name)
+        judges[name] = Judge(keep(other, "task"), replace(o, horizon=horizon), lags)
+    pool, out = keep(tg.examples(grid, sel.full(scores), lags, c.context, horizon), "pool"), []
+    cells = {("full", "1"): sel.full(scores)} | {(k, a): rows for a in alphas for k, rows in strategies(scores, a, 0, kinds).items()}
+    for (k, a), rows in cells.items():
+        chosen = keep(pool if k == "full" else pool.join(rows.select(*tg.KEY), tg.KEY, "left_semi"), "train")
+        w = tg.fit_ridge(chosen, lags, horizon)
+        ratios = [r for r in (judge(w)[1] for judge in judges.values()) if r]
+        out.append((k, a, chosen.count(), len(ratios), math.exp(sum(map(math.log, ratios)) / len(ratios)) if ratios else None))
+    return spark.createDataFrame(out, "strategy string, alpha string, kept long, tasks int, geomean double")
+
+
 def choose_proxy(spark, sf_dir, name: str, cheap: str = "linear_mini", dear: str = "linear_base", share: int = 16, least: float = 0.9) -> tuple[str, float]:
     """The cheap reference if its scores rank a pilot of the series (one in ``share`` by hash) like the dear one's."""
     from ..functions.metrics import spearman

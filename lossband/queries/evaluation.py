@@ -11,7 +11,7 @@ from ..operators import select as sel
 from ..operators import synth
 from ..operators import windows as w
 from ..operators.grid import CORPORA
-from ..operators.scoring import ContextGaussian, Drift, LastValue, MovingMean, SeasonalNaive, score
+from ..operators.scoring import SCALINGS, ContextGaussian, Drift, LastValue, MovingMean, SeasonalNaive, amortisation, score
 from ..plans import experiment as ex
 from ..plans import target as tg
 from ..plans import text as tx
@@ -114,12 +114,7 @@ def _gradient_rows(spark, sf):
     return th.window_gradient(th.residuals(rows, last), x)
 
 
-def _tenth(spark, sf):
-    """Every tenth origin, as the SQL of the queries over it has it."""
-    return _gradient_rows(spark, sf).where(F.col("origin") % 10 == 0)
-
-
-#: The bounds over windows; each is a query over every window (name_all) and one over a tenth with SQL beside it.
+#: The bounds, each checked for every window.
 CHECKS = {"gradient_identity": th.gradient_bounds, "gradient_bound_rank1": lambda rows: th.rank_one_bounds(rows, F.array(*(F.lit(float(v)) for v in (1, 2, 3, 4)))), "self_bounding": th.self_bound}
 
 
@@ -176,8 +171,13 @@ def page_hosts(spark, sf):
     return rows.groupBy("source").agg(F.count("*").alias("pages"), F.sum("n").alias("chars"))
 
 
-def task_suite(spark, sf):
-    return spark.createDataFrame(ex.task_suite(), "task_id string, corpus string, granularity int, context int, horizon int, season int")
+def zero_shot(spark, sf):
+    """Errors of untrained forecasters on the last horizon of every task of the suite, relative to the seasonal naive one."""
+    return mt.rounded(mt.relative(ex.suite_errors(spark, sf), "snaive"), 6, "ratio")
+
+
+def zero_shot_mean(spark, sf):
+    return mt.rounded(mt.geomean(mt.relative(ex.suite_errors(spark, sf), "snaive")), 5, "geomean")
 
 
 def margins_expected():
@@ -198,8 +198,7 @@ QUERIES = {
     "spearman_matrix": spearman_sizes,
     "margins_table": margins_table,
     "published_central_counts": central_counts,
-    **{k: (lambda s, d, f=f: _ok(f(_tenth(s, d)))) for k, f in CHECKS.items()},
-    **{f"{k}_all": (lambda s, d, f=f: _ok(f(_gradient_rows(s, d)))) for k, f in CHECKS.items()},
+    **{k: (lambda s, d, f=f: _ok(f(_gradient_rows(s, d)))) for k, f in CHECKS.items()},
     "gradient_alignment": gradient_alignment,
     "alignment_by_rank": alignment_by_rank,
     "rfl_decile_profile": lambda s, d: mt.rounded(th.by_decile(naive(s, d, S.name), "rfl"), 6, "mean"),
@@ -211,7 +210,11 @@ QUERIES = {
     "scale_transfer": lambda s, d: ex.transfer(s, d),
     "cross_transfer": lambda s, d: ex.transfer(s, d, which=("linear_small", "quantile", "gaussian", "point_quantile")),
     "trajectories": lambda s, d: ex.trajectories(s, d),
-    "task_suite": task_suite,
+    "zero_shot_suite": zero_shot,
+    "zero_shot_geomean": zero_shot_mean,
+    "zero_shot_targets": lambda s, d: ex.zero_shot_targets(s, d),
+    "amortisation": lambda s, d: amortisation(naive(s, d, S.name), targets=3, ratios=3),
+    **{f"rfl_scaled_{k}": (lambda s, d, k=k: mt.rounded(score(grid(s, d, S.name), SeasonalNaive(S.season), S.context, S.horizon, scaling=k).select("source", "series_id", "origin", "m", "rfl"), 6, "rfl")) for k in SCALINGS},
     "budget_report": lambda s, d: s.createDataFrame([tuple(tg.budget_report(n, tg.TrainSpec()).values()) for n in (1_000, 100_000)], "steps int, batch int, drawn int, distinct int, epochs double"),
     "doc_rfl": lambda s, d: mt.rounded(doc_rfl(s, d).select("source", "series_id", "m", "rfl"), 6, "rfl"),
     "doc_select_quality": doc_select_quality,
@@ -243,6 +246,31 @@ _DOCS = f"""c as (select word, count(*) as n from (select unnest({_WORDS}) as wo
     s as (select dw.doc_id, count(*) as m, sum(-log2((coalesce(c.n, 0) + 1) / cast((select a + k + 1 from t) as double))) / count(*) as rfl from dw left join c on c.word = dw.word group by 1)"""
 _MARGINS = " union all ".join(f"select '{t}' as task_id, '{m}' as metric, round({a} - {b}, 6) as absolute, round(100 * ({a}::double - {b}::double) / {a}::double, 6) as percent" for t, m, a, b in margins_expected())
 
+def _scaled_sql(scale):
+    return f"""with {scores_sql('supplier_weekly')}, whole as (select *, stddev_pop(y) over (partition by source, series_id) as whole from cells),
+        sc as (select k.source, k.series_id, k.origin, {scale} as scale from keys k join whole c on c.source = k.source and c.series_id = k.series_id and c.t >= k.origin and c.t < k.origin + {S.context} group by 1, 2, 3)
+        select s.source, s.series_id, s.origin, s.m, round(case when scale > 0 then rfl / (scale * scale) end, 6) as rfl from scores s join sc on sc.source = s.source and sc.series_id = s.series_id and sc.origin = s.origin"""
+
+
+def _suite_sql():
+    """Every task's cells, summed to its granularity, and the errors of the last horizon."""
+    parts, ctes = [], []
+    for (name, gran), tasks in ex.suite_by_grid().items():
+        length, season = tasks[0].length, tasks[0].season
+        at = f"{name}_{gran}"
+        ctes.append(f"{at} as (with {cells_sql(name)}, c as (select source, series_id, t // {gran} as t, cast(sum(y) as double) as y from cells where t < {length * gran} group by 1, 2, 3) select *, avg(y) over (partition by source, series_id) as mean from c)")
+        for t in tasks:
+            back = f"{season} * ((t - {length - t.horizon}) // {season} + 1)"
+            parts.append(f"""select '{t.id}' as task_id, f.y, b.y as snaive, l.last, z.zero from {at} f join (select source, series_id, arg_max(y, t) filter (y is not null) as last from {at} where t < {length - t.horizon} group by 1, 2) l on l.source = f.source and l.series_id = f.series_id
+                join (select source, series_id, avg(y) as zero from {at} where t >= {length - t.horizon - t.context} and t < {length - t.horizon} group by 1, 2) z on z.source = f.source and z.series_id = f.series_id
+                left join {at} b on b.source = f.source and b.series_id = f.series_id and b.t = f.t - {back.replace('(t -', '(f.t -')} where f.t >= {length - t.horizon}""")
+    rows = " union all ".join(parts)
+    each = " union all ".join(f"select task_id, '{m}' as model, y - {c} as e from rows" for m, c in (("snaive", "snaive"), ("last", "last"), ("mean", "zero")))
+    return f"""{', '.join(ctes)}, rows as ({rows}), errors as ({each}), metrics as (select task_id, model, avg(e * e) as mse, avg(abs(e)) as mae from errors where e is not null group by 1, 2),
+        long as (select task_id, model, 'mse' as metric, mse as value from metrics union all select task_id, model, 'mae', mae from metrics),
+        ratios as (select a.task_id, a.metric, a.model, case when b.value <> 0 then a.value / b.value end as ratio from long a join long b on a.task_id = b.task_id and a.metric = b.metric and b.model = 'snaive')"""
+
+
 ORACLES = {
     "eval_mse": f"with {_HELD} select source, model, slots, round(mse, 4) as mse from metrics",
     "eval_mae": f"with {_HELD} select source, model, slots, round(mae, 6) as mae from metrics",
@@ -256,10 +284,13 @@ ORACLES = {
     "spearman_per_source": f"with {_TWO}, {_avg_ranks('source')} select source, count(*) as windows, round(corr(x, y), 6) as rho from ranks group by 1",
     "margins_table": _MARGINS,
     "published_central_counts": "select 40 as percent, cast(8 as bigint) as best, cast(1 as bigint) as tied, cast(1 as bigint) as beaten union all select 80, 8, 1, 1",
-    "gradient_identity": f"with {_C}, n as (select k.source, k.series_id, k.origin from (select source, series_id, unnest(range(0, {S.length - S.context - 4 + 1}, 10)) as origin from series) k join cells c on c.source = k.source and c.series_id = k.series_id and c.t >= k.origin + {S.context} and c.t < k.origin + {S.context + 4} where c.y is not null group by 1, 2, 3) select count(*) as windows, cast(0 as bigint) as violations from n",
+    "gradient_identity": f"with {_C}, n as (select k.source, k.series_id, k.origin from (select source, series_id, unnest(range(0, {S.length - S.context - 4 + 1})) as origin from series) k join cells c on c.source = k.source and c.series_id = k.series_id and c.t >= k.origin + {S.context} and c.t < k.origin + {S.context + 4} where c.y is not null group by 1, 2, 3) select count(*) as windows, cast(0 as bigint) as violations from n",
     "rfl_decile_profile": f"with {scores_sql('supplier_weekly')}, r as (select *, ntile(10) over (partition by source order by rfl, series_id, origin) as decile from ok) select source, cast(decile as integer) as decile, count(*) as windows, round(avg(rfl), 6) as mean from r group by 1, 2",
     "conditioning_m": f"with {scores_sql('orders_weekly')} select source, " + ", ".join(f"quantile_cont(m, {p}) as m_{int(100 * p)}" for p in (0.0, 0.25, 0.5, 0.75, 1.0)) + " from ok group by 1",
-    "task_suite": "select * from (values " + ", ".join(map(str, ex.task_suite())) + ") t(task_id, corpus, granularity, context, horizon, season)",
+    "amortisation": f"with {scores_sql('supplier_weekly')} select source, 9 as selections, count(*) as passes, count(*) * 9 as without_reuse, count(*) * 8 as saved from scores group by 1",
+    "zero_shot_suite": f"with {_suite_sql()} select task_id, metric, model, round(ratio, 6) as ratio from ratios",
+    "zero_shot_geomean": f"with {_suite_sql()} select metric, model, round(exp(avg(ln(ratio)) filter (ratio > 0)), 5) as geomean, count(*) filter (ratio > 0) as tasks, count(*) filter (coalesce(ratio, 0) <= 0) as left_out from ratios group by 1, 2",
+    **{f"rfl_scaled_{k}": _scaled_sql(v) for k, v in (("context_std", f"stddev_pop(y) filter (c.t < k.origin + {S.context})"), ("context_meanabs", f"avg(abs(y)) filter (c.t < k.origin + {S.context})"), ("series_std", "max(c.whole)"))},
     "budget_report": "select 100 as steps, 512 as batch, 51200 as drawn, least(51200, n) as distinct, 51200 / n::double as epochs from (values (1000), (100000)) t(n)",
     "doc_rfl": f"with {_DOCS} select d.source, cast(d.doc_id as varchar) as series_id, coalesce(m, 0) as m, round(rfl, 6) as rfl from documents d left join s on s.doc_id = d.doc_id",
     "doc_select_quality": f"""with {_DOCS}, o as (select d.source, d.doc_id, round(rfl, 9) as rfl from s join documents d on d.doc_id = s.doc_id), r as (select *, count(*) over (partition by source) as n, row_number() over (partition by source order by rfl, cast(doc_id as varchar)) as k from o)

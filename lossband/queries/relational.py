@@ -193,7 +193,7 @@ QUERIES = {
     "set_union_corpora": lambda s, d: grid(s, d).withColumn("corpus", F.lit("events")).unionByName(grid(s, d, "orders_weekly"), allowMissingColumns=True).groupBy("corpus").agg(F.count("*").alias("n")),
     "set_intersect_refs": lambda s, d: sel.central(naive(s, d), "2/5").select("source", "origin").intersect(sel.central(naive(s, d), "2/5", by=None).select("source", "origin")),
     "set_except_holdout": lambda s, d: naive(s, d, held_out=False).select("source", "origin").exceptAll(naive(s, d).select("source", "origin")),
-    "dedupe_windows": lambda s, d: T(s, d, "documents").groupBy(F.xxhash64("text").alias("h"), "text").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("copies")).select("doc_id", "copies"),
+    "distinct_texts": lambda s, d: T(s, d, "documents").groupBy(F.xxhash64("text").alias("h"), "text").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("copies")).select("doc_id", "copies"),
     "fn_dates": lambda s, d: T(s, d, E).select("event_id", F.hour("ts").alias("h"), F.dayofweek("ts").alias("dow"), F.last_day("ts").alias("eom"), F.expr("timestampdiff(HOUR, TIMESTAMP_NTZ'2024-01-01 00:00:00', ts)").alias("slot"), F.date_format("ts", "yyyy-MM").alias("ym")),
     "fn_math": lambda s, d: T(s, d, E).select("event_id", F.round(F.log(F.col("value") + 1), 6).alias("l"), F.round(F.sqrt("value"), 6).alias("r"), F.pmod(-F.col("user_id"), F.lit(7)).alias("p"), F.greatest(F.col("user_id"), F.lit(20)).alias("g"), F.floor("value").alias("f"), F.round(F.try_divide(F.lit(1.0), F.col("user_id") % 3), 6).alias("q")),
     "fn_strings": lambda s, d: T(s, d, "customer").select("c_custkey", F.concat_ws("-", F.lower("c_name"), "c_mktsegment").alias("a"), F.regexp_extract("c_name", "([0-9]+)", 1).alias("b"), F.length("c_name").alias("n"), F.substring("c_name", 1, 4).alias("c"), F.sha2("c_name", 256).alias("h"), F.levenshtein("c_mktsegment", F.lit("MACHINERY")).alias("d")),
@@ -261,7 +261,7 @@ ORACLES = {
     "set_union_corpora": f"select 'events' as corpus, count(*) as n from (with {cells_sql('events_hourly')} select * from cells) union all select null, count(*) from (with {cells_sql('orders_weekly')} select * from cells)",
     "set_intersect_refs": f"with {_N}, r as (select *, count(*) over (partition by source) as n, row_number() over (partition by source order by rfl, series_id, origin) as k from ok), g as (select *, count(*) over () as n, row_number() over (order by rfl, source, series_id, origin) as k from ok) select source, origin from r where {_C(4)} intersect select source, origin from g where {_C(4)}",
     "set_except_holdout": f"with {cells_sql('events_hourly')} select source, unnest(range({_LEN - 24 + 1}, {_LEN + 1})) as origin from series",
-    "dedupe_windows": "select min(doc_id) as doc_id, count(*) as copies from documents group by text",
+    "distinct_texts": "select min(doc_id) as doc_id, count(*) as copies from documents group by text",
     "fn_dates": "select event_id, cast(hour(ts) as integer) as h, cast(dayofweek(ts) + 1 as integer) as dow, last_day(ts) as eom, date_diff('hour', timestamp '2024-01-01', ts) as slot, strftime(ts, '%Y-%m') as ym from events",
     "fn_math": "select event_id, round(ln(value + 1), 6) as l, round(sqrt(value), 6) as r, ((-user_id % 7) + 7) % 7 as p, greatest(user_id, 20) as g, cast(floor(value) as bigint) as f, round(case when user_id % 3 <> 0 then 1.0::double / (user_id % 3) end, 6) as q from events",
     "fn_strings": "select c_custkey, lower(c_name) || '-' || c_mktsegment as a, regexp_extract(c_name, '([0-9]+)', 1) as b, cast(length(c_name) as integer) as n, substring(c_name, 1, 4) as c, sha256(c_name) as h, cast(levenshtein(c_mktsegment, 'MACHINERY') as integer) as d from customer",

@@ -6,6 +6,7 @@ import sys
 import uuid
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
@@ -58,20 +59,23 @@ class OnlineScore(StatefulProcessor):
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer) -> Iterator[pd.DataFrame]:
         new = pd.concat(list(rows)).sort_values("t")
-        first, ys = self.state.get() if self.state.exists() else (None, [])
-        ys, out, span = list(ys), [], self.context + self.horizon
-        for t, y in zip(new["t"], new["y"]):
-            if first is None:
-                first = int(t)
-            ys += [None] * (int(t) - first - len(ys))
-            ys.append(None if pd.isna(y) else float(y))
-            while len(ys) >= span:
-                e = [ys[i] - ys[i - self.season] for i in range(self.context, span) if ys[i] is not None and ys[i - self.season] is not None]
-                out.append((*key, first, len(e), sum(x * x for x in e) / len(e) if e else None))
-                del ys[0]
-                first += 1
-        self.state.update((first, ys))
-        yield pd.DataFrame(out, columns=["source", "series_id", "origin", "m", "rfl"])
+        t, y = new["t"].to_numpy(np.int64), pd.to_numeric(new["y"]).to_numpy(float)
+        first, tail = self.state.get() if self.state.exists() else (int(t[0]), [])
+        held, span = len(tail), self.context + self.horizon
+        ys = np.full(max(int(t[-1]) - first + 1, held), np.nan)
+        ys[:held] = [np.nan if v is None else v for v in tail]
+        ys[t - first] = y
+        done = max(len(ys) - span + 1, 0)
+        out = {c: [] for c in ("origin", "m", "rfl")}
+        if done:
+            # Squared errors of the slots once, then sums over every window's future.
+            e = (ys[self.context :] - ys[self.context - self.season : len(ys) - self.season]) ** 2
+            m = np.lib.stride_tricks.sliding_window_view((~np.isnan(e)).astype(np.int64), self.horizon).sum(1)
+            total = np.lib.stride_tricks.sliding_window_view(np.nan_to_num(e), self.horizon).sum(1)
+            out = {"origin": first + np.arange(done), "m": m, "rfl": np.where(m > 0, total / np.maximum(m, 1), np.nan)}
+        self.state.update((first + done, [None if np.isnan(v) else float(v) for v in ys[done:]]))
+        rows = pd.DataFrame({"source": key[0], "series_id": key[1], **out})
+        yield rows
 
     def close(self) -> None:
         pass
@@ -93,6 +97,30 @@ def keep_within(scores: DataFrame, cuts: DataFrame) -> DataFrame:
     return scores.join(F.broadcast(cuts), "source").where(F.col("rfl").between(F.col("lo"), F.col("hi")))
 
 
+def run_in_turns(parts: list[DataFrame], plan, mode: str = "update") -> DataFrame:
+    """Feed ``parts`` one after another to the stream ``plan(rows)`` under one checkpoint; its rows with the turn that gave them.
+
+    Each turn starts from the state and the watermark of the one before, so what a watermark turns away in a later
+    part is what it would turn away in a stream that never stopped.
+    """
+    from ..sources.tables import shared_dir
+
+    spark, root = parts[0].sparkSession, f"{shared_dir(parts[0].sparkSession)}/lossband-streams/{uuid.uuid4().hex[:12]}"
+    for turn, part in enumerate(parts):
+        part.write.parquet(f"{root}/in/turn={turn}")
+        rows = plan(spark.readStream.schema(part.schema).option("recursiveFileLookup", "true").parquet(f"{root}/in"))
+
+        def write(df: DataFrame, epoch: int, turn: int = turn) -> None:
+            df.write.mode("overwrite").parquet(f"{root}/out/turn={turn}/epoch={epoch}")
+
+        rows.writeStream.outputMode(mode).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).foreachBatch(write).start().awaitTermination()
+    return spark.read.option("basePath", f"{root}/out").schema(f"{_ddl(rows)}, turn int, epoch long").parquet(f"{root}/out/turn=*/epoch=*")
+
+
+def _ddl(rows: DataFrame) -> str:
+    return ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema)
+
+
 def run_once(rows: DataFrame, mode: str = "append", batch=None, columns: list[str] | None = None) -> DataFrame:
     """Run a bounded stream to its end and return its rows as a written table; ``batch(df, id)`` sees every batch besides."""
     from ..sources.tables import shared_dir
