@@ -6,8 +6,9 @@ if they collide in MATCHES lists or more, so lists with one class are skipped, a
 than MATCHES coordinates in shared lists. The pairs of a group are never listed:
 
 1. Every list names as representative the class whose own lists hold most posts, which is the one in the middle
-   of a group. In one order of representatives, the one with most posts first, a class keeps the leading ones until fewer than MATCHES of its lists are left (a prefix): two classes
-   that collide often enough then have the first representative of their common lists in both prefixes.
+   of a group. In one order of representatives, the one with most posts first, a class keeps the leading ones
+   until fewer than MATCHES of its lists are left (a prefix): two classes that collide often enough then have the
+   first representative of their common lists in both prefixes.
 2. Each class is compared with the representatives of its prefix on full sets. That gives links, components,
    and for each such pair what the two sets do not share. Lists that lie within one component are skipped from
    here on; classes that still have MATCHES coordinates in lists of several components are open.
