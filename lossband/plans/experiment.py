@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import math
 from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -14,6 +13,7 @@ from ..operators.grid import CORPORA, Corpus, build
 from ..operators.scoring import ContextGaussian, PointQuantile, ResidualQuantile, RidgeDirect, SeasonalNaive, score
 from ..operators.windows import lengths, validation_keys
 from ..sources.tables import keep
+from . import cells as cl
 from . import target as tg
 
 PLANTED = Corpus("planted", 320, 64, 16, 16)
@@ -37,89 +37,153 @@ def strategies(scores: DataFrame, alpha, seed: int = 0, kinds=STRATEGIES) -> dic
 
 
 class Judge:
-    """The held-out horizons of a corpus and the seasonal naive error on them, prepared once for all targets."""
+    """The held-out horizons of a corpus and the seasonal naive error on them, prepared once for all targets.
+
+    Targets are judged on the slots that the seasonal naive forecast has a value for, so that ratios compare like with like.
+    """
 
     def __init__(self, grid: DataFrame, c: Corpus, lags: int):
         keys = validation_keys(lengths(grid), c.context, c.horizon)
         # A window whose features are all missing or zero has no unit to be judged in.
-        self.held = keep(tg.examples(grid, keys, lags, c.context, c.horizon).where("size > 1e-6"), "held")
+        held = tg.examples(grid, keys, lags, c.context, c.horizon).where("size > 1e-6")
         naive = SeasonalNaive(c.season).error(grid, 1).select("source", "series_id", "t", "e1")
-        ends = self.held.select("source", "series_id", "origin", "size")
-        inside = (F.col("t") >= F.col("origin") + c.context) & (F.col("t") < F.col("origin") + c.context + c.horizon)
-        self.base = naive.join(ends, ["source", "series_id"]).where(inside).agg(F.avg(F.abs(F.col("e1") / F.col("size")))).first()[0]
+        slot = F.col("t") - F.col("origin") - c.context
+        inside = naive.join(held.select(*tg.KEY), ["source", "series_id"]).where(slot.between(0, c.horizon - 1))
+        errors = inside.groupBy(*tg.KEY).agg(F.array_sort(F.collect_list(F.struct("t", "e1")))["e1"].alias("naive"))  # one entry a slot of the horizon
+        held = held.join(errors, tg.KEY).withColumn("mask", F.zip_with("mask", "naive", lambda m, e: F.when(e.isNotNull(), m).otherwise(0)))
+        self.held = keep(held, "held")
+        self.base = self.held.select("size", F.explode("naive").alias("e")).agg(F.avg(F.abs(F.col("e") / F.col("size")))).first()[0]
+
+    def __call__(self, weights, spread) -> list[tuple]:
+        """For each cell: MSE in the scale of the context; absolute error and quantile loss relative to the absolute error of the seasonal naive forecast."""
+        share = lambda v: v / self.base if v is not None and self.base else None
+        found = {r["cell"]: (r["se"], share(r["ae"]), share(r["pl"])) for r in cl.judged(self.held, weights, spread)}
+        return [found.get(i, (None, None, None)) for i in range(len(weights))]
+
 
-    def __call__(self, w) -> tuple[float, float]:
-        """MSE in the scale of the context, and absolute error relative to the seasonal naive forecast."""
-        e = F.col("e") / F.col("size")
-        mse, mae = tg.forecast_errors(self.held, w).agg(F.avg(e * e), F.avg(F.abs(e))).first()
-        return mse, (mae / self.base if mae is not None and self.base else None)
+FAMILIES = ("linear", "quantile", "gaussian")
+#: Corpora of the given tables, and the planted one beside them.
+EVERY = ("supplier_weekly", "orders_weekly", "events_hourly", "brand_weekly", "embedding_axis", "planted")
+RATIOS = ("2/5", "3/5", "4/5")
 
 
-def retention_grid(spark, sf_dir, names=("planted",), alphas=("2/5", "3/5", "4/5"), kinds=("central", "random_global"), lags: int = 8, seeds=(0,), reference=None) -> DataFrame:
-    """(corpus, strategy, alpha, seed, kept, mse, relative): the target trained on each selection, and on everything."""
+def of_family(family: str, grid: DataFrame, c: Corpus):
+    """The reference of a target's own family; the linear one is fitted to windows before the held-out ones."""
+    if family == "linear":
+        return RidgeDirect(8).fit(grid, c.context, c.horizon, F.col("origin") + c.context + 2 * c.horizon <= c.length)
+    return ResidualQuantile(c.season) if family == "quantile" else ContextGaussian()
+
+
+class Run:
+    """All cells of one training corpus: scores, selections and fitted targets, each made in one pass over the windows."""
+
+    def __init__(self, spark, sf_dir, name: str, cells: list[cl.Cell], lags: int = 8, horizon: int | None = None, make=None):
+        grid, c = corpus(spark, sf_dir, name)
+        self.grid, self.c, self.cells, self.lags = keep(grid, "grid"), corpus_horizon(c, horizon), cells, lags
+        self.scores = {r: keep(score(self.grid, (make or of_family)(r, self.grid, self.c), self.c.context, self.c.horizon), f"scores-{r}") for r in dict.fromkeys(x.reference for x in cells)}
+        members = keep(cl.memberships(self.scores, cells), "members")
+        found = {r["cell"]: (r["kept"], r["shared"]) for r in cl.sizes(members).collect()}
+        self.kept, self.shared = ([found.get(i, (0, 0))[k] for i in range(len(cells))] for k in (0, 1))
+        # A window without a unit cannot be trained on, as it cannot be judged.
+        pool = tg.examples(self.grid, members, lags, self.c.context, self.c.horizon).where("size > 1e-6")
+        pool = cl.with_cells(pool, members)
+        self.weights = cl.fit_linear(pool, len(cells), lags, self.c.horizon)
+        self.spread = cl.offsets(pool, self.weights, cells)
+
+    def judged_by(self, judge: Judge) -> list[tuple]:
+        return judge(self.weights, self.spread)
+
+
+def corpus_horizon(c: Corpus, horizon: int | None) -> Corpus:
+    return c if horizon is None else replace(c, horizon=horizon)
+
+
+def cells_of(families, kinds, alphas, seeds=(0,)) -> list[cl.Cell]:
+    """Everything, and each rule at each ratio, for each family with the reference of its own; seeds matter to random rules only."""
+    out = []
+    for f in families:
+        out.append(cl.Cell(f, f, "full"))
+        out += [cl.Cell(f, f, k, a, s) for k in kinds for a in alphas for s in (seeds if k.startswith("random") else seeds[:1])]
+    return out
+
+
+RESULT = "corpus string, task string, family string, strategy string, alpha string, seed int, kept long, mse double, relative double, relative_prob double"
+
+
+def _own(spark, sf_dir, names, cells) -> DataFrame:
+    """Each corpus' cells, judged on its own held-out horizons."""
     out = []
     for name in names:
-        grid, c = corpus(spark, sf_dir, name)
-        grid = keep(grid, "grid")
-        scores = keep(score(grid, reference or SeasonalNaive(c.season), c.context, c.horizon), "scores")
-        judge, pool = Judge(grid, c, lags), keep(tg.examples(grid, sel.full(scores), lags, c.context, c.horizon), "pool")
-        for seed in seeds:
-            cells = {("full", "1"): sel.full(scores)} if seed == seeds[0] else {}
-            cells |= {(k, a): rows for a in alphas for k, rows in strategies(scores, a, seed, kinds).items()}
-            for (k, a), rows in cells.items():
-                # The pool's examples are made once; a selection is a semi join of keys with them.
-                train = keep(pool if k == "full" else pool.join(rows.select(*tg.KEY), tg.KEY, "left_semi"), "train")
-                mse, rel = judge(tg.fit_ridge(train, lags, c.horizon))
-                out.append((name, k, a, seed, train.count(), mse, rel))
-    return spark.createDataFrame(out, "corpus string, strategy string, alpha string, seed int, kept long, mse double, relative double")
+        run = Run(spark, sf_dir, name, cells)
+        out += [(name, name, c.family, c.strategy, c.alpha, c.seed, n, *r) for c, n, r in zip(cells, run.kept, run.judged_by(Judge(run.grid, run.c, run.lags)))]
+    return spark.createDataFrame(out, RESULT)
+
+
+def _elsewhere(spark, sf_dir, train: str, tasks, cells, horizon: int) -> DataFrame:
+    """The cells of one corpus, judged on several; features and futures are in units of the context's size, so one target fits any corpus."""
+    run, out = Run(spark, sf_dir, train, cells, horizon=horizon), []
+    for name in tasks:
+        grid, c = (run.grid, run.c) if name == train else corpus(spark, sf_dir, name)
+        judge = Judge(keep(grid, "task"), corpus_horizon(c, horizon), run.lags)
+        out += [(train, name, c.family, c.strategy, c.alpha, c.seed, n, *r) for c, n, r in zip(cells, run.kept, run.judged_by(judge))]
+    return spark.createDataFrame(out, RESULT)
 
 
-def region_ablation(spark, sf_dir, names=("planted",), alphas=("2/5", "4/5")) -> DataFrame:
-    return retention_grid(spark, sf_dir, names, alphas, kinds=("bottom", "top", "random_stratified", "central"))
+def retention_grid(spark, sf_dir, names=("supplier_weekly", "orders_weekly", "events_hourly", "planted"), families=FAMILIES, alphas=RATIOS, seeds=(0, 1)) -> DataFrame:
+    """Targets of three families on everything, on random shares and on the middle shares of their own reference's scores."""
+    return _own(spark, sf_dir, names, cells_of(families, ("central", "random_global"), alphas, seeds))
 
 
-def stratification_ablation(spark, sf_dir, names=("planted",), alphas=("2/5", "3/5", "4/5")) -> DataFrame:
-    return retention_grid(spark, sf_dir, names, alphas, kinds=("central", "global"))
+def region_ablation(spark, sf_dir, train: str = "supplier_weekly", tasks=EVERY[:5], families=FAMILIES, alphas=("2/5", "4/5"), horizon: int = 8) -> DataFrame:
+    """Lowest, highest, random and middle shares of one corpus, judged on five."""
+    return _elsewhere(spark, sf_dir, train, tasks, cells_of(families, ("bottom", "top", "random_stratified", "central"), alphas), horizon)
 
 
-def references(grid: DataFrame, c: Corpus) -> dict:
-    """Forecasters of one family in three sizes, and of four families."""
+def stratification_ablation(spark, sf_dir, names=EVERY, families=("linear",), alphas=RATIOS) -> DataFrame:
+    """The middle of every source against the middle of everything, at three ratios on every corpus."""
+    return _own(spark, sf_dir, names, cells_of(families, ("central", "global"), alphas))
+
+
+SIZES = {"linear_mini": 4, "linear_small": 8, "linear_base": 16}
+
+
+def references(grid: DataFrame, c: Corpus, which=None) -> dict:
+    """Forecasters of one family in three sizes, and of four families; only those of ``which`` are fitted."""
     train = F.col("origin") + c.context + 2 * c.horizon <= c.length
-    ridge = {f"linear_{n}": RidgeDirect(k).fit(grid, c.context, c.horizon, train) for n, k in (("mini", 4), ("small", 8), ("base", 16))}
-    return ridge | {"quantile": ResidualQuantile(c.season), "gaussian": ContextGaussian(), "point_quantile": PointQuantile(c.season), "naive": SeasonalNaive(c.season)}
+    ridge = {n: RidgeDirect(k).fit(grid, c.context, c.horizon, train) for n, k in SIZES.items() if which is None or n in which}
+    rest = {"quantile": ResidualQuantile(c.season), "gaussian": ContextGaussian(), "point_quantile": PointQuantile(c.season), "naive": SeasonalNaive(c.season)}
+    return ridge | {k: r for k, r in rest.items() if which is None or k in which}
 
 
 def score_all(spark, sf_dir, name: str, which=None) -> dict[str, DataFrame]:
     """One score table a reference over one grid that is written once."""
     grid, c = corpus(spark, sf_dir, name)
     grid = keep(grid, "grid")
-    refs = references(grid, c)
-    return {k: keep(score(grid, r, c.context, c.horizon), f"scores-{k}") for k, r in refs.items() if which is None or k in which}
+    return {k: keep(score(grid, r, c.context, c.horizon), f"scores-{k}") for k, r in references(grid, c, which).items()}
 
 
-def transfer(spark, sf_dir, name: str = "planted", which=("linear_mini", "linear_small", "linear_base"), alpha="4/5", lags: int = 8) -> DataFrame:
-    """(reference, kept, mse, relative): one target trained on what each reference selects."""
-    grid, c = corpus(spark, sf_dir, name)
-    grid = keep(grid, "grid")
-    judge, out = Judge(grid, c, lags), []
-    for k, scores in score_all(spark, sf_dir, name, which).items():
-        train = keep(tg.examples(grid, sel.central(scores, alpha), lags, c.context, c.horizon), "train")
-        mse, rel = judge(tg.fit_ridge(train, lags, c.horizon))
-        out.append((k, train.count(), mse, rel))
-    return spark.createDataFrame(out, "reference string, kept long, mse double, relative double")
+def transfer(spark, sf_dir, name: str = "supplier_weekly", which=("linear_mini", "linear_small", "linear_base"), alpha="4/5", families=("linear",)) -> DataFrame:
+    """(family, reference, kept, overlap, mse, relative, relative_prob): targets trained on what each reference selects; ``overlap`` is the share of it that the first reference selects too."""
+    cells = [cl.Cell(f, r, "central", alpha) for f in families for r in which]
+    run = Run(spark, sf_dir, name, cells, make=lambda reference, grid, c: references(grid, c, (reference,))[reference])
+    rows = zip(cells, run.kept, run.shared, run.judged_by(Judge(run.grid, run.c, run.lags)))
+    out = [(x.family, x.reference, n, both / n if n else None, *r) for x, n, both, r in rows]
+    return spark.createDataFrame(out, "family string, reference string, kept long, overlap double, mse double, relative double, relative_prob double")
 
 
-def trajectories(spark, sf_dir, name: str = "planted", alphas=("2/5", "4/5"), kinds=("central", "bottom", "top", "random_stratified"), spec: tg.TrainSpec = tg.TrainSpec(), lags: int = 8) -> DataFrame:
-    """(strategy, alpha, seed, step, val_loss): equal budgets on every selection, one validation set for all."""
+def trajectories(spark, sf_dir, name: str = "supplier_weekly", alphas=("2/5", "4/5"), kinds=("central", "bottom", "top", "random_stratified"), spec: tg.TrainSpec = tg.TrainSpec(), seeds=(0, 1), lags: int = 8) -> DataFrame:
+    """(strategy, alpha, seed, step, val_loss): the same steps on everything and on every selection, one validation set for all."""
     grid, c = corpus(spark, sf_dir, name)
     grid = keep(grid, "grid")
     scores = keep(score(grid, SeasonalNaive(c.season), c.context, c.horizon), "scores")
-    held = keep(tg.examples(grid, validation_keys(lengths(grid), c.context, c.horizon), lags, c.context, c.horizon), "held")
+    usable = lambda keys: tg.examples(grid, keys, lags, c.context, c.horizon).where("size > 1e-6")
+    held, pool = keep(usable(validation_keys(lengths(grid), c.context, c.horizon)), "held"), keep(usable(sel.full(scores)), "pool")
     out = []
-    for a in alphas:
-        for k, rows in strategies(scores, a, kinds=kinds).items():
-            _, curve = tg.fit_sgd(tg.examples(grid, rows, lags, c.context, c.horizon), lags, c.horizon, replace(spec), held)
-            out += [(k, a, spec.seed, step, loss) for step, loss in curve]
+    for seed in seeds:
+        cells = {("full", "1"): pool} | {(k, a): pool.join(rows.select(*tg.KEY), tg.KEY, "left_semi") for a in alphas for k, rows in strategies(scores, a, seed, kinds).items()}
+        for (k, a), rows in cells.items():
+            _, curve = tg.fit_sgd(rows, lags, c.horizon, replace(spec, seed=seed), held)
+            out += [(k, a, seed, step, loss) for step, loss in curve]
     return spark.createDataFrame(out, "strategy string, alpha string, seed int, step int, val_loss double")
 
 
@@ -188,29 +252,15 @@ def suite_errors(spark, sf_dir) -> DataFrame:
     return sums.select("task_id", "model", F.explode(F.map_from_arrays(F.array(F.lit("mse"), F.lit("mae")), F.array("mse", "mae"))).alias("metric", "value"))
 
 
-def zero_shot_targets(spark, sf_dir, train: str = "supplier_weekly", alphas=("2/5", "4/5"), kinds=("central", "random_stratified"), lags: int = 8, horizon: int = 8) -> DataFrame:
-    """(strategy, alpha, kept, tasks, geomean): targets trained on selections of one corpus, judged on the others.
+def zero_shot_targets(spark, sf_dir, train: str = "supplier_weekly", families=FAMILIES, alphas=("2/5", "4/5"), kinds=("central", "random_stratified"), horizon: int = 8) -> DataFrame:
+    """(family, strategy, alpha, kept, tasks, geomean, geomean_prob): targets trained on selections of one corpus, judged on those that they never saw.
 
-    Features and futures are in units of the context's size, so one model fits any corpus. Each task is the last
-    ``horizon`` slots of a corpus that it was not trained on; its error is relative to the seasonal naive one, and the
-    mean over tasks is geometric.
+    Each task is the last ``horizon`` slots of another corpus; errors are relative to the seasonal naive one, and means
+    over tasks are geometric. A task whose ratio is missing or 0 is left out of its mean.
     """
-    grid, c = corpus(spark, sf_dir, train)
-    grid = keep(grid, "grid")
-    c = replace(c, horizon=horizon)
-    scores = keep(score(grid, SeasonalNaive(c.season), c.context, horizon), "scores")
-    judges = {}
-    for name in ("events_hourly", "orders_weekly", "brand_weekly", "embedding_axis", "planted"):
-        other, o = corpus(spark, sf_dir, name)
-        judges[name] = Judge(keep(other, "task"), replace(o, horizon=horizon), lags)
-    pool, out = keep(tg.examples(grid, sel.full(scores), lags, c.context, horizon), "pool"), []
-    cells = {("full", "1"): sel.full(scores)} | {(k, a): rows for a in alphas for k, rows in strategies(scores, a, 0, kinds).items()}
-    for (k, a), rows in cells.items():
-        chosen = keep(pool if k == "full" else pool.join(rows.select(*tg.KEY), tg.KEY, "left_semi"), "train")
-        w = tg.fit_ridge(chosen, lags, horizon)
-        ratios = [r for r in (judge(w)[1] for judge in judges.values()) if r]
-        out.append((k, a, chosen.count(), len(ratios), math.exp(sum(map(math.log, ratios)) / len(ratios)) if ratios else None))
-    return spark.createDataFrame(out, "strategy string, alpha string, kept long, tasks int, geomean double")
+    rows = _elsewhere(spark, sf_dir, train, [n for n in EVERY if n != train], cells_of(families, kinds, alphas), horizon)
+    mean = lambda c: F.exp(F.avg(F.when(F.col(c) > 0, F.log(c))))
+    return rows.groupBy("family", "strategy", "alpha", "kept").agg(F.count_if(F.col("relative") > 0).alias("tasks"), mean("relative").alias("geomean"), mean("relative_prob").alias("geomean_prob"))
 
 
 def choose_proxy(spark, sf_dir, name: str, cheap: str = "linear_mini", dear: str = "linear_base", share: int = 16, least: float = 0.9) -> tuple[str, float]:
@@ -218,7 +268,7 @@ def choose_proxy(spark, sf_dir, name: str, cheap: str = "linear_mini", dear: str
     from ..functions.metrics import spearman
 
     grid, c = corpus(spark, sf_dir, name)
-    refs = references(keep(grid, "grid"), c)
+    refs = references(keep(grid, "grid"), c, (cheap, dear))
     pilot = keep(grid.where(F.pmod(F.xxhash64("source", "series_id"), F.lit(share)) == 0), "pilot")
     a, b = (score(pilot, refs[k], c.context, c.horizon) for k in (cheap, dear))
     rho = spearman(a, b).first()["rho"]

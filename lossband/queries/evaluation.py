@@ -206,9 +206,9 @@ QUERIES = {
     "planted_region_mix": planted_mix,
     "retention_grid": lambda s, d: ex.retention_grid(s, d),
     "region_ablation": lambda s, d: ex.region_ablation(s, d),
-    "stratification_ablation": lambda s, d: ex.stratification_ablation(s, d, alphas=("2/5", "4/5")),
+    "stratification_ablation": lambda s, d: ex.stratification_ablation(s, d),
     "scale_transfer": lambda s, d: ex.transfer(s, d),
-    "cross_transfer": lambda s, d: ex.transfer(s, d, which=("linear_small", "quantile", "gaussian", "point_quantile")),
+    "cross_transfer": lambda s, d: ex.transfer(s, d, which=("linear_small", "quantile", "gaussian", "point_quantile"), families=ex.FAMILIES),
     "trajectories": lambda s, d: ex.trajectories(s, d),
     "zero_shot_suite": zero_shot,
     "zero_shot_geomean": zero_shot_mean,
