@@ -11,7 +11,10 @@ than MATCHES coordinates in shared lists. The pairs of a group are never listed:
    first representative of their common lists in both prefixes.
 2. Each class is compared with the representatives of its prefix on full sets. That gives links, components,
    and for each such pair what the two sets do not share. Lists that lie within one component are skipped from
-   here on; classes that still have MATCHES coordinates in lists of several components are open.
+   here on; classes that still have MATCHES coordinates in lists of several components are open. A group can
+   have many members beside its representative's reach, each linked with many within it; so each open class
+   is compared with one class of every list it is in, whose signature agrees as a link's would, and the
+   components and the open classes are found once more. This only saves pairs: what it misses stays open.
 3. Open classes near the same representative are posted under what tells them from it. If two sets differ from
    it in A and B, they differ from one another in A + B without what A and B share, so a link between
    different components needs a known part of A and B to be the same: prefixes of A and B, rarest first, and
@@ -187,6 +190,16 @@ def _places(rows: DataFrame, group: list[str], least: Column) -> DataFrame:
     return flat.withColumn("place", place).where(F.col("place") <= F.col("d") - least + 1)
 
 
+def _likely_pairs(open_posts: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """(a, b): each class of ``open_posts`` with one class of every list of its own, another one in each list, if it lies in another component and their signatures agree about as often as a link's do."""
+    signs = classes.select("id", "sign")
+    named = open_posts.groupBy("token").agg(F.min_by("id", F.xxhash64("id", "token")).alias("id"))
+    # A class is named in no more lists than it has, so only the join by list can meet a hot key, as in step 1.
+    named = named.join(signs, "id").join(open_posts.select("id", "comp").distinct(), "id").select("token", F.col("id").alias("b"), F.col("comp").alias("other"), F.col("sign").alias("theirs"))
+    agree = F.size(F.array_intersect("sign", "theirs")) >= COORDINATES * percent // 100 - 1
+    return open_posts.join(signs, "id").join(named, "token").where((F.col("comp") != F.col("other")) & agree).select(F.col("id").alias("a"), "b").distinct()
+
+
 def _near_pairs(met: DataFrame, open_ids: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
     """(a, b): step 3. ``e`` and ``k`` are such that a pair needs 2 * (100 + percent) tokens for each e1 + e2, and a class is linked with the representative if e <= k."""
     unit = 2 * (100 + percent)
@@ -248,11 +261,21 @@ def near_dedup(docs: DataFrame, size: int = 5, percent: int = 80, matches: int |
     same = _one_document(usable, classes)
     joined = scratch.keep(connected_components(scratch, met.where("link").select(F.col("id").alias("a"), F.col("rep").alias("b")).union(same)), "joined")
 
-    open_posts = shared.select("id", "token").join(joined, shared["id"] == joined["node"], "left").select("id", "token", F.coalesce("component", "id").alias("comp"))
-    open_ids = scratch.keep(_several(open_posts, F.col("comp"), matches).select("id", "comp").distinct(), "open")
+    def still_open(joined: DataFrame) -> DataFrame:
+        at = shared.select("id", "token").join(joined, shared["id"] == joined["node"], "left").select("id", "token", F.coalesce("component", "id").alias("comp"))
+        return _several(at, F.col("comp"), matches).select("id", "token", "comp")
+
+    def confirmed(pairs: DataFrame) -> DataFrame:
+        return scratch.keep(_with_sets(pairs, sets, "a", "b").mapInArrow(_confirm(percent), "a long, b long"), "links")
+
+    def with_links(joined: DataFrame, links: DataFrame) -> DataFrame:
+        return connected_components(scratch, links.union(joined.select(F.col("node").alias("a"), F.col("component").alias("b"))))
+
+    likely = scratch.keep(_likely_pairs(scratch.keep(still_open(joined), "open_posts"), classes, percent), "likely")
+    joined = scratch.keep(with_links(joined, confirmed(likely)), "joined")
+    open_ids = scratch.keep(still_open(joined).select("id", "comp").distinct(), "open")
     pairs = scratch.keep(_near_pairs(met, open_ids, percent, scratch).union(_far_pairs(met, open_ids, shared, matches, scratch)).distinct(), "pairs")
-    more = scratch.keep(_with_sets(pairs, sets, "a", "b").mapInArrow(_confirm(percent), "a long, b long"), "links")
-    found = connected_components(scratch, more.union(joined.select(F.col("node").alias("a"), F.col("component").alias("b"))))
+    found = with_links(joined, confirmed(pairs))
 
     # The smallest document of each component, for the classes that are in one.
     of = found.join(classes.select("id", "doc"), found["node"] == F.col("id")).select("id", "component", "doc")
