@@ -93,12 +93,12 @@ def by_decile(scores: DataFrame, value: str, groups: int = 10) -> DataFrame:
     return rows.withColumn("decile", tile.cast("int")).groupBy("source", "decile").agg(F.count("*").alias("windows"), F.avg(value).alias("mean"))
 
 
-def last_features(grid: DataFrame, lags: int, context: int, horizon: int) -> DataFrame:
-    """Rows (key, x, future, mask) from the grid: the last ``lags`` context values and a constant, missing as 0."""
+def last_features(grid: DataFrame, lags: int, context: int, horizon: int, also: tuple[str, ...] = ()) -> DataFrame:
+    """Rows (key, x, future, mask) from the grid: the last ``lags`` context values and a constant, missing as 0; and the columns ``also`` of the slot that the window begins at."""
     w = Window.partitionBy("source", "series_id").orderBy("t")
     z = F.coalesce("y", F.lit(0)).cast("double")
     rows = grid.withColumn("z", z)
     x = F.array(F.lit(1.0), *(F.lead("z", context - k).over(w) for k in range(1, lags + 1)))
     future = F.array(*(F.lead("z", context + h).over(w) for h in range(horizon)))
     mask = F.array(*(F.lead(F.col("y").isNotNull().cast("int"), context + h).over(w) for h in range(horizon)))
-    return rows.select("source", "series_id", F.col("t").alias("origin"), x.alias("x"), future.alias("future"), mask.alias("mask")).where(F.element_at("mask", horizon).isNotNull())
+    return rows.select("source", "series_id", F.col("t").alias("origin"), x.alias("x"), future.alias("future"), mask.alias("mask"), *also).where(F.element_at("mask", horizon).isNotNull())
