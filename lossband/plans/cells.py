@@ -7,6 +7,7 @@ residuals and judging read the windows once each for all cells of a corpus, what
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 from statistics import NormalDist
 
 import numpy as np
@@ -15,7 +16,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators import select as sel
-from ..operators.rank import distributed, scorable
+from ..operators.rank import cutoffs, scorable
 from ..schema import Alpha
 from ..sources.tables import keep, ship
 from .target import KEY
@@ -24,6 +25,8 @@ LEVELS = tuple(q / 10 for q in range(1, 10))
 #: Residuals are counted in bins of equal width of their inverse hyperbolic sine; those beyond the ends (11,000
 #: times the context's size) count in the outermost bins.
 BINS, REACH = 1024, 10.0
+#: Cells that one number holds a bit each of.
+WORD = 62
 
 
 @dataclass(frozen=True)
@@ -42,38 +45,64 @@ RANKING = {"central": ("source", False), "bottom": ("source", False), "top": ("s
 
 
 def _hit(strategy: str, alpha: Alpha) -> Column:
-    n, rank = F.col("n"), F.col("rank_key")
+    n, rank = F.col("n"), F.col("rank")
     if strategy in ("central", "global"):
         return sel.by_count(n, rank, alpha)
     return rank > n - sel.kept(n, alpha) if strategy == "top" else rank <= sel.kept(n, alpha)
 
 
+def _ends(strategy: str, alpha: Alpha) -> list[Column]:
+    """The ranks after which the rule begins or stops to hold."""
+    n = F.col("n")
+    if strategy in ("central", "global"):
+        return [sel.skipped(n, alpha), sel.skipped(n, alpha) + sel.kept(n, alpha)]
+    return [n - sel.kept(n, alpha) if strategy == "top" else sel.kept(n, alpha)]
+
+
+def _any(masks) -> Column:
+    return reduce(lambda a, m: a.bitwiseOR(m), masks, F.lit(0).cast("long"))
+
+
 def memberships(scores: dict[str, DataFrame], cells: list[Cell]) -> DataFrame:
     """(key, cells): the numbers of the cells that select each window.
 
-    All rankings of all rules are one: their rows carry the number of the ranking and the group that they are ranked
-    in, so one range shuffle serves them together. Random orders are those of the upper 53 bits of a seeded hash.
+    All rankings of all rules are cut in one pass: their rows carry the number of the ranking and the group that they
+    are ranked in. Between two ranks at which a rule changes all windows have the same cells, so a window's place
+    between the windows at those ranks, a few a group, tells its cells, and no ranking is sorted or stored as a whole.
+    Random orders are those of the upper 53 bits of a seeded hash.
     """
     rankings: dict[tuple, list[int]] = {}
     for i, c in enumerate(cells):
         by, shuffled = RANKING.get(c.strategy, ("full", False))
         rankings.setdefault((c.reference, by, shuffled, c.seed if shuffled else 0), []).append(i)
-    placed, out, hits = None, None, []
-    for number, ((reference, by, shuffled, seed), members) in enumerate(rankings.items()):
-        rows = scorable(scores[reference])
-        if by == "full":
-            one = rows.select(*KEY, F.array(*map(F.lit, members)).alias("hits"))
-            out = one if out is None else out.unionByName(one)
-            continue
-        place = F.shiftright(F.xxhash64(*KEY, F.lit(seed)), 11) if shuffled else F.col("rfl")
-        one = rows.select(*KEY, F.lit(number).alias("ranking"), (F.col("source") if by else F.lit("")).alias("group"), place.cast("double").alias("rfl"))
-        placed = one if placed is None else placed.unionByName(one)
-        hits += [F.when((F.col("ranking") == number) & _hit(cells[i].strategy, Alpha.of(cells[i].alpha)), F.lit(i)) for i in members]
-    if placed is not None:
-        one = distributed(placed, ["ranking", "group"], ties=False).select(*KEY, F.array_compact(F.array(*hits)).alias("hits")).where(F.size("hits") > 0)
-        out = one if out is None else out.unionByName(one)
-    # One array a ranking, so a window's list is no longer than the list of cells.
-    return out.groupBy(*KEY).agg(F.array_sort(F.flatten(F.collect_list("hits"))).alias("cells"))
+    numbers, words = {r: k for k, r in enumerate(rankings)}, range(-(-len(cells) // WORD))
+    bits = lambda i, k: F.lit(1 << i % WORD if i // WORD == k else 0).cast("long")
+    value = lambda shuffled, seed: (F.shiftright(F.xxhash64(*KEY, F.lit(seed)), 11) if shuffled else F.col("rfl")).cast("double")
+    group = lambda by: F.col("source") if by else F.lit("")
+    rows = {r: scorable(scores[r]).select(*KEY, "rfl") for r in dict.fromkeys(c.reference for c in cells)}
+    cut = {r: k for r, k in numbers.items() if r[1] != "full"}
+    if cut:
+        placed = [rows[r[0]].select(*KEY, F.lit(k).alias("ranking"), group(r[1]).alias("group"), value(*r[2:]).alias("rfl")) for r, k in cut.items()]
+        own = lambda of: F.coalesce(*(F.when(F.col("ranking") == k, of(rankings[r])) for r, k in cut.items()))
+        wanted = own(lambda members: F.array(*(e for i in members for e in _ends(cells[i].strategy, Alpha.of(cells[i].alpha))), F.col("n")))
+        ends = cutoffs(reduce(DataFrame.unionByName, placed), wanted, ["ranking", "group"], slack=0.005)
+        ends = ends.select("ranking", "group", "n", "rank", F.struct("rfl", *KEY).alias("upto"))
+        # From after one end to the next, and the last end is the last rank: a few rows a group.
+        masks = {f"w{k}": own(lambda members: _any(F.when(_hit(cells[i].strategy, Alpha.of(cells[i].alpha)), bits(i, k)).otherwise(0) for i in members)) for k in words}
+        spans = keep(ends.withColumn("after", F.lag("upto").over(Window.partitionBy("ranking", "group").orderBy("rank"))).withColumns(masks), "spans")
+    out = []
+    for reference, one in rows.items():
+        mine = {k: r for r, k in numbers.items() if r[0] == reference}
+        for k, (_, by, shuffled, seed) in mine.items():
+            if by != "full":
+                place = F.struct(value(shuffled, seed).alias("rfl"), *KEY)
+                span = F.broadcast(spans.where(F.col("ranking") == k).select(F.col("group").alias("g"), "after", "upto", *(F.col(f"w{j}").alias(f"w{k}_{j}") for j in words)))
+                one = one.join(span, (F.col("g") == group(by)) & (F.col("after").isNull() | (place > F.col("after"))) & (place <= F.col("upto"))).drop("g", "after", "upto")
+        of = lambda j: _any(F.col(f"w{k}_{j}") if r[1] != "full" else _any(bits(i, j) for i in rankings[r]) for k, r in mine.items())  # noqa: E731, B023
+        out.append(one.select(*KEY, *(of(j).alias(f"w{j}") for j in words)).where(_any(F.col(f"w{j}") for j in words) != 0))
+    # A window has one row a reference; they meet where its series is.
+    sums = reduce(DataFrame.unionByName, out).repartition("source", "series_id").groupBy(*KEY).agg(*(F.bit_or(f"w{k}").alias(f"w{k}") for k in words))
+    return sums.select(*KEY, F.array_compact(F.array(*(F.when(F.col(f"w{i // WORD}").bitwiseAND(bits(i, i // WORD)) != 0, F.lit(i)) for i in range(len(cells))))).alias("cells"))
 
 
 def sizes(members: DataFrame) -> DataFrame:

@@ -114,3 +114,35 @@ def test_windows_are_never_broadcast(spark, made):
     plain = cl.with_cells(tg.examples(grid, members.select(*tg.KEY).unionByName(members.select(*tg.KEY)), LAGS, CONTEXT, HORIZON), members)
     at_once = tg.examples(grid, members, LAGS, CONTEXT, HORIZON, ("cells",))
     assert plain.count() == at_once.count() and plain.select(*at_once.columns).exceptAll(at_once).isEmpty()
+
+
+def test_rankings_are_cut_and_not_sorted_as_a_whole(spark, monkeypatch):
+    """Only windows near a rank at which a rule changes are sorted and written, and more cells fit than one number has bits."""
+    from lossband.operators import rank
+
+    rows = spark.range(0, 40_000, 1, 4).selectExpr("concat('s', id % 3) as source", "cast(id % 40 as string) as series_id", "id as origin", "cast(pmod(id * 7919, 10007) as double) as rfl", "1L as m", "'ok' as status")
+    cells = [cl.Cell("linear", "a", k, f"{p}/12") for k in ("central", "global", "bottom", "top", "random_stratified", "random_global") for p in range(1, 12)] + [cl.Cell("linear", "b", "full"), cl.Cell("linear", "b", "central", "1/12")]
+    stored = []
+    plain = rank.keep
+
+    def counted(df, name):
+        out = plain(df, name)
+        stored.append(out.count())
+        return out
+
+    monkeypatch.setattr(rank, "keep", counted)
+    few = [c for c in cells if c.alpha in ("4/12", "1")]
+    assert keep(cl.memberships({"a": rows, "b": rows}, few), "few").count() == 40_000
+    # Six rankings of all windows would be 240,000 rows.
+    assert max(stored) < 40_000
+    got = {tuple(r)[:3]: r["cells"] for r in cl.memberships({"a": rows, "b": rows.where("source <> 's1'")}, cells).collect()}
+    table = [(r["source"], r["series_id"], r["origin"], r["rfl"]) for r in rows.collect()]
+    assert all(x == sorted(set(x)) for x in got.values())
+    assert {k for k, x in got.items() if 66 in x} == {t[:3] for t in table if t[0] != "s1"}
+    for i, c in enumerate(cells[:44]):
+        want, a = set(), sel.Alpha.of(c.alpha)
+        for s in [None] if c.strategy == "global" else ["s0", "s1", "s2"]:
+            mine = sorted((t for t in table if s in (None, t[0])), key=lambda t: (t[3], *t[:3]))
+            first = {"top": len(mine) - a.kept(len(mine)), "bottom": 0}.get(c.strategy, a.skipped(len(mine)))
+            want |= {t[:3] for t in mine[first : first + a.kept(len(mine))]}
+        assert {k for k, x in got.items() if i in x} == want, c
