@@ -146,3 +146,15 @@ def test_rankings_are_cut_and_not_sorted_as_a_whole(spark, monkeypatch):
             first = {"top": len(mine) - a.kept(len(mine)), "bottom": 0}.get(c.strategy, a.skipped(len(mine)))
             want |= {t[:3] for t in mine[first : first + a.kept(len(mine))]}
         assert {k for k, x in got.items() if i in x} == want, c
+
+
+def test_squares_beyond_a_long(spark):
+    """Sums of many rows a slot: their squares, and their products with the slot, do not fit a long."""
+    at = range(CONTEXT + 3 * HORIZON)
+    y = [4_000_000_000 + 1_000_003 * (t * t % 17) for t in at]
+    grid = spark.createDataFrame([("a", "x", t, v) for t, v in zip(at, y)], "source string, series_id string, t long, y long")
+    got = {r["origin"]: r["rfl"] for r in score(grid, ContextGaussian(), CONTEXT, HORIZON).collect()}
+    assert len(got) == HORIZON + 1
+    for o, loss in got.items():
+        past, future = np.array(y[o : o + CONTEXT], float), np.array(y[o + CONTEXT : o + CONTEXT + HORIZON], float)
+        assert loss == pytest.approx(0.5 * np.log(2 * np.pi * past.var()) + ((future - past.mean()) ** 2).mean() / (2 * past.var()), rel=1e-3)
